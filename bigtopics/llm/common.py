@@ -51,3 +51,9 @@ def text_of(col: str = "text") -> Column:
 def words_of(text: Column) -> Column:
     """All words of a text, in order."""
     return F.regexp_extract_all(text, F.lit(f"({WORD})"), F.lit(1))
+
+
+def key_of(id_col: str, text_col: str) -> list[Column]:
+    """Two columns, __bt_k1 and __bt_k2, that name a row by its id and text alone, so any two scans agree on them."""
+    i = F.col(id_col).cast("long")
+    return [F.coalesce(i, F.lit(0)).alias("__bt_k1"), F.xxhash64(i.isNull(), F.col(text_col).isNull(), F.col(text_col)).alias("__bt_k2")]

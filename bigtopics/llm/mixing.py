@@ -50,25 +50,30 @@ def source_targets(sizes: DataFrame, *, weights: tuple[int, ...] = WEIGHTS, max_
     return level.select("__bt_source", "__bt_class", "__bt_weight", "__bt_source_size", target.alias("__bt_target"))
 
 
-def plan_mix(sized: DataFrame, *, weights: tuple[int, ...] = WEIGHTS, max_repeats: int = 3, buckets: int = 1024, seed: int = 0) -> DataFrame:
-    """Adds source, target, __bt_before (words of the source before this document) and __bt_taken to sized.
+def _keyed(docs: DataFrame, buckets: int, seed: int) -> DataFrame:
+    """Adds __bt_key, the hash that orders documents, and __bt_bucket, its range."""
+    key = F.md5(F.concat_ws("|", F.lit(str(seed)), F.coalesce(F.col("__bt_id").cast("string"), F.lit("?"))).cast("binary"))
+    df = docs.withColumn("__bt_key", key)
+    return df.withColumn("__bt_bucket", F.floor(F.conv(F.substring("__bt_key", 1, 8), 16, 10).cast("bigint") * F.lit(buckets) / F.lit(2**32)).cast("int"))
+
 
-    sized: __bt_row, __bt_id, __bt_source, __bt_size, one row per document.
+def plan_mix(rows: DataFrame, sized: DataFrame, *, weights: tuple[int, ...] = WEIGHTS, max_repeats: int = 3, buckets: int = 1024, seed: int = 0) -> DataFrame:
+    """Adds __bt_class, __bt_source_size, __bt_target, __bt_before (words of the source before this document) and __bt_taken to rows.
+
+    rows: __bt_id, __bt_source, __bt_size and any other columns; sized: the same three columns alone, cheap to read again.
     """
-    key = F.md5(F.concat_ws("|", F.lit(str(seed)), F.coalesce(F.col("__bt_id").cast("string"), F.lit("?"))).cast("binary"))
-    df = sized.withColumn("__bt_key", key).withColumn("__bt_bucket", F.conv(F.substring("__bt_key", 1, 8), 16, 10).cast("bigint") * F.lit(buckets) / F.lit(2**32)).withColumn("__bt_bucket", F.floor("__bt_bucket").cast("int"))
-    per = df.groupBy("__bt_source", "__bt_bucket").agg(F.sum("__bt_size").alias("__bt_sum"))
+    per = _keyed(sized, buckets, seed).groupBy("__bt_source", "__bt_bucket").agg(F.sum("__bt_size").alias("__bt_sum"))
     per = per.select("__bt_source", "__bt_bucket", F.coalesce(F.sum("__bt_sum").over(Window.partitionBy("__bt_source").orderBy("__bt_bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("__bt_base"))
     facts = source_targets(sized, weights=weights, max_repeats=max_repeats)
     # one row per source and bucket: small beside the documents, joined without a hint
     per = per.toDF("__bt_s", "__bt_b", "__bt_base").join(facts.withColumnRenamed("__bt_source", "__bt_f"), F.col("__bt_s").eqNullSafe(F.col("__bt_f")))
-    within = Window.partitionBy("__bt_source", "__bt_bucket").orderBy("__bt_key", "__bt_id", "__bt_row").rowsBetween(Window.unboundedPreceding, -1)
-    local = df.withColumn("__bt_local", F.coalesce(F.sum("__bt_size").over(within), F.lit(0)))
+    within = Window.partitionBy("__bt_source", "__bt_bucket").orderBy("__bt_key", "__bt_id", "__bt_size").rowsBetween(Window.unboundedPreceding, -1)
+    local = _keyed(rows, buckets, seed).withColumn("__bt_local", F.coalesce(F.sum("__bt_size").over(within), F.lit(0)))
     joined = local.join(per, F.col("__bt_source").eqNullSafe(F.col("__bt_s")) & (F.col("__bt_bucket") == F.col("__bt_b")))
     goal = F.round("__bt_target").cast("bigint")
     start = F.col("__bt_base") + F.col("__bt_local")
     taken = sum((F.greatest(F.lit(0), F.least(F.col("__bt_size"), goal - p * F.col("__bt_source_size") - start)) for p in range(max_repeats)), F.lit(0).cast("bigint"))
-    return joined.select("__bt_row", "__bt_id", "__bt_source", "__bt_class", "__bt_size", "__bt_source_size", "__bt_target", start.alias("__bt_before"), taken.alias("__bt_taken"))
+    return joined.withColumn("__bt_before", start).withColumn("__bt_taken", taken)
 
 
 def position_at(asked: Column, target: Column, slope: Column) -> Column:
@@ -80,9 +85,8 @@ def position_at(asked: Column, target: Column, slope: Column) -> Column:
     return F.when(slope == 0, u).otherwise((slope - 1 + F.sqrt((1 - slope) * (1 - slope) + 4 * slope * u)) / (2 * slope) + 0.0)
 
 
-def _sized(docs: DataFrame, id_col: str, text_col: str, source_col: str) -> DataFrame:
-    size = F.size(words_of(text_of(text_col))).cast("bigint")
-    return docs.select(F.monotonically_increasing_id().alias("__bt_row"), F.col(id_col).alias("__bt_id"), F.col(source_col).cast("string").alias("__bt_source"), size.alias("__bt_size"))
+def _sized(docs: DataFrame, id_col: str, text_col: str, source_col: str) -> list[Column]:
+    return [F.col(id_col).alias("__bt_id"), F.col(source_col).cast("string").alias("__bt_source"), F.size(words_of(text_of(text_col))).cast("bigint").alias("__bt_size")]
 
 
 def _placed(plan: DataFrame, slopes: tuple[float, ...]) -> DataFrame:
@@ -92,16 +96,17 @@ def _placed(plan: DataFrame, slopes: tuple[float, ...]) -> DataFrame:
 
 def mix_report(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", slopes: tuple[float, ...] = SLOPES, **options) -> DataFrame:
     """One row per input row: id, size, source_size, target, taken, first_position (training time of its first copy), range-sorted by it."""
-    plan = _placed(plan_mix(settle(_sized(docs, id_col, text_col, source_col), "mix"), **options), slopes)
+    sized = settle(docs.select(*_sized(docs, id_col, text_col, source_col)), "mix")
+    plan = _placed(plan_mix(sized, sized, **options), slopes)
     return plan.orderBy(F.asc_nulls_last("__bt_at"), "__bt_id").select(F.col("__bt_id").alias(id_col), F.col("__bt_size").alias("size"), F.col("__bt_source_size").alias("source_size"), F.col("__bt_target").alias("target"), F.col("__bt_taken").alias("taken"), F.col("__bt_at").alias("first_position"))
 
 
 def mix_documents(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", slopes: tuple[float, ...] = SLOPES, **options) -> DataFrame:
     """The mixed corpus in training order: each document as often as it is taken (whole copies, rounded), with the columns of docs."""
-    rows = docs.withColumn("__bt_row", F.monotonically_increasing_id())
-    plan = _placed(plan_mix(settle(_sized(docs, id_col, text_col, source_col), "mix"), **options), slopes)
+    columns = _sized(docs, id_col, text_col, source_col)
+    plan = plan_mix(docs.select("*", *columns), settle(docs.select(*columns), "mix"), **options)
     slope = F.get(F.array(*(F.lit(float(s)) for s in slopes)), F.col("__bt_class") % len(slopes))
     copies = F.floor(F.col("__bt_taken") / F.greatest(F.col("__bt_size"), F.lit(1)) + 0.5).cast("int")
     each = plan.withColumn("__bt_copies", copies).filter("__bt_copies > 0").withColumn("__bt_pass", F.explode(F.sequence(F.lit(0), F.col("__bt_copies") - 1)))
-    each = each.select("__bt_row", position_at(F.col("__bt_before") + F.col("__bt_pass") * F.col("__bt_source_size"), F.col("__bt_target"), slope).alias("__bt_at"))
-    return rows.join(each, "__bt_row").repartitionByRange("__bt_at", "__bt_row").sortWithinPartitions("__bt_at", "__bt_row").select(*docs.columns)
+    each = each.withColumn("__bt_at", position_at(F.col("__bt_before") + F.col("__bt_pass") * F.col("__bt_source_size"), F.col("__bt_target"), slope))
+    return each.repartitionByRange("__bt_at", "__bt_key").sortWithinPartitions("__bt_at", "__bt_key").select(*docs.columns)

@@ -106,7 +106,8 @@ def scan_secrets(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
     owned = F.col("__bt_n_owners") <= owned_up_to
     live = owned & F.col("__bt_looks_live")
     wide = F.col("__bt_rank") == len(KINDS) - 1
-    judged = each.join(ownership(each), "__bt_hash").groupBy("__bt_row").agg(
+    # written, so that the join shuffles both sides and a hot value's partition can be split
+    judged = each.join(settle(ownership(each), "owners"), "__bt_hash").groupBy("__bt_row").agg(
         F.count_if((F.col("__bt_n_owners") >= shared_from) & ~wide).alias("__bt_shared"),
         F.count_if(live).alias("__bt_live"),
         F.collect_list(F.when(wide & live, F.struct(F.col("__bt_start").alias("start"), F.col("__bt_rank").alias("rank"), F.col("__bt_end").alias("end")))).alias("__bt_added"),

@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import SPACE, text_of, words_of
+from .common import settle, text_of, words_of
 
 # Common words of the languages that have a list; others use the first.
 COMMON = {
@@ -25,44 +25,77 @@ COMMON = {
     "de": ("der", "die", "und", "in", "den", "von", "zu", "das", "mit", "sich", "des", "auf", "für", "ist", "im", "dem"),
     "es": ("de", "la", "que", "el", "en", "y", "a", "los", "se", "del", "las", "un", "por", "con", "no", "una"),
 }
-_CODES = "abcdefghijklmnop"  # one letter for each place in a list
 #: At most so many languages have a reference of their own; it bounds what is broadcast.
 MAX_LANGUAGES = 1024
 
 
-def _histograms(docs: DataFrame, text_col: str, lang_col: str, keep: list[Column]) -> DataFrame:
-    """keep, __bt_lang, __bt_words (array), __bt_rest (text without lower-case letters), __bt_len, __bt_codes."""
-    df = docs.select(*keep, F.col(lang_col).cast("string").alias("__bt_lang"), text_of(text_col).alias("__bt_text"))
-    df = df.select("*", words_of(F.col("__bt_text")).alias("__bt_words"), F.regexp_replace("__bt_text", r"\p{Ll}+", "").alias("__bt_rest"))
-    lists = F.create_map(*(x for k, v in COMMON.items() for x in (F.lit(k), F.array(*map(F.lit, v)))))
-    df = df.select("*", F.coalesce(F.try_element_at(lists, F.col("__bt_lang")), F.array(*map(F.lit, COMMON["en"]))).alias("__bt_list"))
-    code = F.array_join(F.transform(F.filter("__bt_words", lambda w: F.array_contains("__bt_list", F.lower(w))), lambda w: F.substring(F.lit(_CODES), F.array_position("__bt_list", F.lower(w)).cast("int"), F.lit(1))), "")
-    return df.select("*", code.alias("__bt_codes"), F.length("__bt_text").alias("__bt_len"))
+N_COMMON = 16
 
 
-def _lost(col: str, pattern: str) -> Column:
-    """How many code points of col the pattern takes."""
-    return F.length(col) - F.length(F.regexp_replace(col, pattern, ""))
+def _only(col: str, kept: str) -> Column:
+    """How many code points of col are of the class ``kept``; runs of all others go first, so there are few matches."""
+    return F.length(F.regexp_replace(col, f"[^{kept}]+", ""))
 
 
-def _shares(df: DataFrame) -> DataFrame:
-    """Adds __bt_chars and __bt_common: shares of character classes, and of common words with all others last."""
-    upper, digit, space, mark = (_lost("__bt_rest", p) for p in (r"\p{Lu}+", r"[0-9]+", SPACE, r"[.,;:!?'()\"-]+"))
-    df = df.select("*", F.array((F.col("__bt_len") - F.length("__bt_rest")), upper, digit, space, mark).alias("__bt_counts"))
-    left = F.col("__bt_len") - F.aggregate("__bt_counts", F.lit(0), lambda a, x: a + x)
+def _histograms(docs: DataFrame, text_col: str, lang_col: str, keep: list[Column]) -> DataFrame:
+    """keep, __bt_lang, __bt_text, __bt_words, __bt_rest (the text without lower-case letters), __bt_len, __bt_word_chars, and the shares __bt_chars and __bt_common.
+
+    A common word is counted by what its removal takes from the common words set apart by two spaces; the last share is of all other words.
+    """
+    df = docs.select(*keep, F.col(lang_col).cast("string").alias("__bt_lang"), text_of(text_col).alias("__bt_text"))
+    lists = F.create_map(*(x for k, v in COMMON.items() for x in (F.lit(k), F.array(*(F.lit(f" {w} ") for w in v)))))
+    df = df.select("*", words_of(F.col("__bt_text")).alias("__bt_words"), F.regexp_replace("__bt_text", r"\p{Ll}+", "").alias("__bt_rest"), F.length("__bt_text").alias("__bt_len"))
+    known = F.filter("__bt_words", lambda w: w.isin(*sorted({w for v in COMMON.values() for w in v})))
+    df = df.select("*", F.length(F.array_join("__bt_words", "")).alias("__bt_word_chars"), F.concat(F.lit(" "), F.array_join(known, "  "), F.lit(" ")).alias("__bt_apart"), F.coalesce(F.try_element_at(lists, F.col("__bt_lang")), F.element_at(lists, F.lit("en"))).alias("__bt_list"))
+    upper, digit, mark = (_only("__bt_rest", p) for p in (r"\p{Lu}", "0-9", r".,;:!?'()\"\-"))
+    word = lambda k: F.get("__bt_list", F.lit(k))
+    times = lambda k: (F.octet_length("__bt_apart") - F.octet_length(F.replace(F.col("__bt_apart"), word(k), F.lit("")))) / F.octet_length(word(k))
+    df = df.select("*", F.array(F.col("__bt_len") - F.length("__bt_rest"), upper, digit, F.col("__bt_len") - F.col("__bt_word_chars"), mark).alias("__bt_c"), F.array(*map(times, range(N_COMMON))).alias("__bt_w"))
+    total = lambda c, zero: F.aggregate(c, zero, lambda a, x: a + x)
     n, m = F.greatest(F.col("__bt_len"), F.lit(1)), F.greatest(F.size("__bt_words"), F.lit(1))
-    common = [(F.length("__bt_codes") - F.length(F.replace(F.col("__bt_codes"), F.lit(c), F.lit("")))) / m for c in _CODES]
-    return df.select("*", F.transform(F.concat("__bt_counts", F.array(left)), lambda x: x / n).alias("__bt_chars"), F.array(*common, (m - F.length("__bt_codes")) / m).alias("__bt_common"))
+    chars = F.transform(F.concat("__bt_c", F.array(F.col("__bt_len") - total("__bt_c", F.lit(0)))), lambda x: x / n)
+    common = F.transform(F.concat("__bt_w", F.array(m - total("__bt_w", F.lit(0.0)))), lambda x: x / m)
+    return df.select("*", chars.alias("__bt_chars"), common.alias("__bt_common"))
+
+
+def _repeated_at(df: DataFrame) -> DataFrame:
+    """Adds __bt_at: places of the 3-word windows of __bt_words that occur twice or more, ascending (null or empty: none).
+
+    Windows are compared by 64-bit hashes.  The two places after the last window hash fewer words and equal no window.
+    """
+    at = lambda a, k: F.get(F.col(a), k)
+    df = df.select("*", F.when(F.size("__bt_words") >= 4, F.transform("__bt_words", lambda w, i: F.xxhash64(w, at("__bt_words", i + 1), at("__bt_words", i + 2)))).alias("__bt_grams"))
+    df = df.select("*", F.when(F.size(F.array_distinct("__bt_grams")) < F.size("__bt_grams"), F.sort_array("__bt_grams")).alias("__bt_sorted"))
+    df = df.select("*", F.array_distinct(F.filter("__bt_sorted", lambda h, i: h == at("__bt_sorted", i + 1))).alias("__bt_twice"))
+    # few hashes that repeat are looked up one by one; many (a text of repeats) by sorting all places
+    few = F.filter(F.transform("__bt_grams", lambda h, i: F.when(F.array_contains("__bt_twice", h), i)), lambda i: i.isNotNull())
+    keyed = F.when(F.size("__bt_twice") > 64, F.sort_array(F.transform("__bt_grams", lambda h, i: F.struct(h.alias("h"), i.alias("i")))))
+    df = df.select("*", keyed.alias("__bt_keyed"))
+    same = lambda z, k: F.coalesce(at("__bt_keyed", k)["h"] == z["h"], F.lit(False))
+    many = F.sort_array(F.transform(F.filter("__bt_keyed", lambda z, k: same(z, k + 1) | F.when(k > 0, same(z, k - 1)).otherwise(False)), lambda z: z["i"]))
+    return df.select("*", F.when(F.col("__bt_keyed").isNotNull(), many).when(F.size("__bt_twice") > 0, few).alias("__bt_at"))
+
+
+def measure(docs: DataFrame, *, text_col: str = "text", lang_col: str = "lang", keep: list[Column]) -> DataFrame:
+    """keep and all measures that need the document alone; each column is computed only if it is used."""
+    df = _histograms(docs, text_col, lang_col, keep)
+    names = [c for c in df.columns if not c.startswith("__bt_") or c == "__bt_id"]
+    lines = F.filter(F.split("__bt_text", "\n", -1), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
+    df = _repeated_at(df.select("*", lines.alias("__bt_lines")))
+    covered = F.aggregate(F.sequence(F.lit(1), F.size("__bt_at")), F.lit(0), lambda s, k: s + F.coalesce(F.least(F.lit(3), F.get(F.col("__bt_at"), k) - F.get(F.col("__bt_at"), k - 1)), F.lit(3)))
+    return df.select(
+        *names, "__bt_lang", "__bt_chars", "__bt_common", F.size("__bt_words").cast("bigint").alias("__bt_n_words"), F.col("__bt_word_chars").cast("bigint").alias("__bt_word_chars"), _only("__bt_rest", "#*$%&|<>").cast("bigint").alias("__bt_n_symbols"),
+        (F.size("__bt_lines") - F.size(F.array_distinct("__bt_lines"))).cast("bigint").alias("__bt_n_dup_lines"), F.when(F.size("__bt_at") > 0, covered).otherwise(0).cast("bigint").alias("__bt_n_repeat_words"),
+    )
 
 
-def fit_references(docs: DataFrame, *, text_col: str = "text", lang_col: str = "lang", min_words: int = 50, min_docs: int = 30) -> DataFrame:
+def fit_references(measured: DataFrame, *, min_words: int = 50, min_docs: int = 30) -> DataFrame:
     """Mean histograms of each language and of all documents (null language), over every document of min_words or more.
 
     Languages of fewer than min_docs documents have no row.  At most MAX_LANGUAGES + 1 rows.
     """
-    df = _shares(_histograms(docs, text_col, lang_col, [])).filter(F.size("__bt_words") >= min_words)
-    parts = [F.get("__bt_chars", F.lit(i)).alias(f"c{i}") for i in range(6)] + [F.get("__bt_common", F.lit(i)).alias(f"w{i}") for i in range(len(_CODES) + 1)]
-    flat = df.select("__bt_lang", *parts)
+    parts = [F.get("__bt_chars", F.lit(i)).alias(f"c{i}") for i in range(6)] + [F.get("__bt_common", F.lit(i)).alias(f"w{i}") for i in range(N_COMMON + 1)]
+    flat = measured.filter(F.col("__bt_n_words") >= min_words).select("__bt_lang", *parts)
     names = flat.columns[1:]
     sums = flat.groupBy("__bt_lang").agg(F.count(F.lit(1)).alias("__bt_n"), *(F.sum(c).alias(c) for c in names))
 
@@ -82,44 +115,28 @@ def js_distance(p: Column, q: Column) -> Column:
     return F.sqrt(F.greatest(total / 2, F.lit(0.0)))
 
 
-def _windows(words: str) -> Column:
-    """Sorted struct(hash of three words, index of the first) of each 3-word window."""
-    at = lambda i, k: F.get(F.col(words), i + k)
-    one = lambda i: F.struct(F.xxhash64(at(i, 0), at(i, 1), at(i, 2)).alias("h"), i.alias("i"))
-    return F.when(F.size(words) >= 4, F.sort_array(F.transform(F.sequence(F.lit(0), F.size(words) - 3), one)))
-
-
-def judge(docs: DataFrame, references: DataFrame, *, text_col: str = "text", lang_col: str = "lang", keep: list[Column], min_words: int = 50, max_js_chars: float = 0.30, max_js_common: float = 0.60) -> DataFrame:
-    """keep and __bt_n_words, __bt_word_chars, __bt_n_symbols, __bt_n_dup_lines, __bt_n_repeat_words, __bt_base_failed, __bt_js_chars, __bt_js_common, __bt_kept."""
-    df = _shares(_histograms(docs, text_col, lang_col, keep))
-    kept_names = [c for c in df.columns if not c.startswith("__bt_")] + [c for c in ("__bt_id",) if c in df.columns]
-    lines = F.filter(F.split("__bt_text", "\n", -1), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
-    df = df.select("*", _windows("__bt_words").alias("__bt_keyed"), lines.alias("__bt_lines"))
-    same = lambda z, k: F.coalesce(F.get(F.col("__bt_keyed"), k)["h"] == z["h"], F.lit(False))
-    twice = F.filter("__bt_keyed", lambda z, k: same(z, k + 1) | (F.when(k > 0, same(z, k - 1)).otherwise(False)))
-    df = df.select("*", F.sort_array(F.transform(twice, lambda z: z["i"])).alias("__bt_at"))
-    covered = F.aggregate(F.sequence(F.lit(1), F.size("__bt_at")), F.lit(0), lambda s, k: s + F.coalesce(F.least(F.lit(3), F.get(F.col("__bt_at"), k) - F.get(F.col("__bt_at"), k - 1)), F.lit(3)))
-    n_words = F.size("__bt_words").cast("bigint")
-    df = df.select(
-        "*", n_words.alias("__bt_n_words"), (F.col("__bt_len") - _lost("__bt_rest", SPACE)).cast("bigint").alias("__bt_word_chars"), _lost("__bt_rest", r"[#*$%&|<>]+").cast("bigint").alias("__bt_n_symbols"),
-        (F.size("__bt_lines") - F.size(F.array_distinct("__bt_lines"))).cast("bigint").alias("__bt_n_dup_lines"), F.when(F.size("__bt_at") > 0, covered).otherwise(0).cast("bigint").alias("__bt_n_repeat_words"),
-    )
+def verdicts(measured: DataFrame, references: DataFrame, *, min_words: int = 50, max_js_chars: float = 0.30, max_js_common: float = 0.60) -> DataFrame:
+    """measured with __bt_js_chars, __bt_js_common, __bt_base_failed and __bt_kept."""
     own = F.broadcast(references.filter("__bt_lang is not null"))
     whole = F.broadcast(references.filter("__bt_lang is null").select(F.col("__bt_ref_chars").alias("__bt_all_chars"), F.col("__bt_ref_common").alias("__bt_all_common"), F.lit(1).alias("__bt_one")))
-    df = df.withColumn("__bt_one", F.lit(1)).join(own, "__bt_lang", "left").join(whole, "__bt_one", "left")
+    df = measured.withColumn("__bt_one", F.lit(1)).join(own, "__bt_lang", "left").join(whole, "__bt_one", "left")
     distance = lambda a, own_ref, all_ref: F.coalesce(js_distance(F.col(a), F.coalesce(own_ref, all_ref)), F.lit(0.0))
     df = df.select("*", distance("__bt_chars", "__bt_ref_chars", "__bt_all_chars").alias("__bt_js_chars"), distance("__bt_common", "__bt_ref_common", "__bt_all_common").alias("__bt_js_common"))
     failed = (F.col("__bt_n_words") < 50) | (100 * F.col("__bt_n_repeat_words") > 50 * F.col("__bt_n_words"))
     passes = (F.col("__bt_n_words") < min_words) | ((F.col("__bt_js_chars") <= max_js_chars) & (F.col("__bt_js_common") <= max_js_common))
-    return df.select(*kept_names, *(f"__bt_{c}" for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "js_chars", "js_common")), failed.alias("__bt_base_failed"), (~failed & passes).alias("__bt_kept"))
+    return df.select("*", failed.alias("__bt_base_failed"), (~failed & passes).alias("__bt_kept"))
 
 
 def quality_report(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", **limits) -> DataFrame:
     """One row per input row with all measures and the verdict ``kept``."""
-    out = judge(docs, fit_references(docs, text_col=text_col, lang_col=lang_col), text_col=text_col, lang_col=lang_col, keep=[F.col(id_col).alias("__bt_id")], **limits)
-    return out.select(F.col("__bt_id").alias(id_col), *(F.col(c).alias(c[5:]) for c in out.columns if c != "__bt_id"))
+    measured = settle(measure(docs, text_col=text_col, lang_col=lang_col, keep=[F.col(id_col).alias("__bt_id")]), "quality")
+    out = verdicts(measured, fit_references(measured), **limits)
+    shown = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "js_chars", "js_common")
+    return out.select(F.col("__bt_id").alias(id_col), *(F.col(f"__bt_{c}").alias(c) for c in shown))
 
 
 def keep_good(docs: DataFrame, *, text_col: str = "text", lang_col: str = "lang", **limits) -> DataFrame:
-    """The rows that pass, with their columns as they were."""
-    return judge(docs, fit_references(docs, text_col=text_col, lang_col=lang_col), text_col=text_col, lang_col=lang_col, keep=[F.col(c) for c in docs.columns], **limits).filter("__bt_kept").select(*docs.columns)
+    """The rows that pass, with their columns as they were.  Texts are read twice (references, verdicts) and never shuffled."""
+    how = {"text_col": text_col, "lang_col": lang_col}
+    references = settle(fit_references(measure(docs, **how, keep=[])), "references")
+    return verdicts(measure(docs, **how, keep=[F.col(c) for c in docs.columns]), references, **limits).filter("__bt_kept").select(*docs.columns)

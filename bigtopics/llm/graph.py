@@ -1,0 +1,28 @@
+"""Connected components of a table of links, by least labels and pointer jumping."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from .common import settle
+
+
+def components(links: DataFrame) -> DataFrame:
+    """links: a, b (long).  A row per linked node: node, label (the smallest node it reaches).
+
+    Each round takes the least label of the neighbours, then the label of the
+    label, and is written; rounds grow with the logarithm of the longest path.
+    Both sides of each join come from written tables, so a node with very many
+    links is split like any hot key.
+    """
+    both = settle(links.select("a", "b").union(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "links")
+    labels = settle(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.first("a")).alias("label")), "labels")
+    while True:
+        near = both.join(labels.toDF("b", "l"), "b").groupBy(F.col("a").alias("node")).agg(F.min("l").alias("near"))
+        step = settle(labels.join(near, "node").select("node", F.least("label", "near").alias("low"), F.col("label").alias("old")), "labels")
+        jump = step.select(F.col("node").alias("low"), F.col("low").alias("to"))
+        after = settle(step.join(jump, "low").select("node", F.col("to").alias("label"), "old"), "labels")
+        labels = after.select("node", "label")
+        if after.filter("label <> old").isEmpty():
+            return labels

@@ -9,6 +9,7 @@ from .html import extract_main_text
 from .line_dedup import line_report
 from .merkle import edited_report
 from .mixing import mix_report
+from .ngram_join import link_report
 from .packing import pack
 from .quality import quality_report
 from .secrets import scan_secrets
@@ -47,6 +48,10 @@ def op6_mix_curriculum(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix_report(table(spark, sf_dir, "documents"))
 
 
+def op7_jaccard_partition(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return link_report(table(spark, sf_dir, "documents"))
+
+
 def op8_line_chunks(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_report(table(spark, sf_dir, "documents"))
 

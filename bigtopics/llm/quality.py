@@ -89,13 +89,18 @@ def measure(docs: DataFrame, *, text_col: str = "text", lang_col: str = "lang",
     )
 
 
+def _where(df: DataFrame, condition: Column) -> DataFrame:
+    """Filter that stays above the measures: pushed below, it would compute them once more for each use of a name."""
+    return df.withColumn("__bt_fence", F.monotonically_increasing_id()).filter(condition & (F.col("__bt_fence") >= 0)).drop("__bt_fence")
+
+
 def fit_references(measured: DataFrame, *, min_words: int = 50, min_docs: int = 30) -> DataFrame:
     """Mean histograms of each language and of all documents (null language), over every document of min_words or more.
 
     Languages of fewer than min_docs documents have no row.  At most MAX_LANGUAGES + 1 rows.
     """
     parts = [F.get("__bt_chars", F.lit(i)).alias(f"c{i}") for i in range(6)] + [F.get("__bt_common", F.lit(i)).alias(f"w{i}") for i in range(N_COMMON + 1)]
-    flat = measured.filter(F.col("__bt_n_words") >= min_words).select("__bt_lang", *parts)
+    flat = _where(measured, F.col("__bt_n_words") >= min_words).select("__bt_lang", *parts)
     names = flat.columns[1:]
     sums = flat.groupBy("__bt_lang").agg(F.count(F.lit(1)).alias("__bt_n"), *(F.sum(c).alias(c) for c in names))
 
@@ -139,4 +144,5 @@ def keep_good(docs: DataFrame, *, text_col: str = "text", lang_col: str = "lang"
     """The rows that pass, with their columns as they were.  Texts are read twice (references, verdicts) and never shuffled."""
     how = {"text_col": text_col, "lang_col": lang_col}
     references = settle(fit_references(measure(docs, **how, keep=[])), "references")
-    return verdicts(measure(docs, **how, keep=[F.col(c) for c in docs.columns]), references, **limits).filter("__bt_kept").select(*docs.columns)
+    judged = verdicts(measure(docs, **how, keep=[F.col(c) for c in docs.columns]), references, **limits)
+    return _where(judged, F.col("__bt_kept")).select(*docs.columns)

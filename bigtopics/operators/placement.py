@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.rand import uniform
+from ..sources.files import settle
 
 
 def weighted_placement(counts: list[tuple[int, int]], shards: int) -> list[tuple[int, int]]:
@@ -46,7 +47,8 @@ def assign_words(vocab: DataFrame, shards: int, method: str = "hash", *, head: i
 
 def ranked_by_tf(vocab: DataFrame, parts: int = 32) -> DataFrame:
     """vocab with its rank (from 0) by descending tf, then id, from range-sorted partitions."""
-    ranged = vocab.repartitionByRange(parts, F.desc("tf"), "word_id").withColumn("__p", F.spark_partition_id())
+    # written: bounds are sampled, so two runs of the same plan could cut differently
+    ranged = settle(vocab.repartitionByRange(parts, F.desc("tf"), "word_id").withColumn("__p", F.spark_partition_id()), "ranged")
     sizes = ranged.groupBy("__p").agg(F.count(F.lit(1)).alias("__n"))
     base = sizes.select("__p", (F.sum("__n").over(Window.orderBy("__p")) - F.col("__n")).alias("__b"))
     local = ranged.withColumn("__r", F.row_number().over(Window.partitionBy("__p").orderBy(F.desc("tf"), "word_id")))

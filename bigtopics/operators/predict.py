@@ -49,7 +49,7 @@ def packed_queries(tokens: DataFrame, phi: DataFrame, r_best: DataFrame) -> Data
     """doc_id and, per place, the word's model row and best prior topic."""
     rows = tokens.join(packed_rows(phi), "word_id").join(r_best.select("word_id", "best_topic"), "word_id")
     q = rows.groupBy("doc_id").agg(F.array_sort(F.collect_list(F.struct("pos", "word_id", "best_topic", "topics", "counts"))).alias("q"))
-    return q.select("doc_id", *(F.transform("q", lambda x, c=c: x[c]).alias(c) for c in ("pos", "word_id", "best_topic", "topics", "counts")))
+    return q.select("doc_id", *(F.col("q")[c].alias(c) for c in ("pos", "word_id", "best_topic", "topics", "counts")))
 
 
 def ascend(rows: list[tuple[np.ndarray, np.ndarray]], best: np.ndarray, psi: np.ndarray, alpha: np.ndarray, beta: float, vocab_size: int, *, pruned: bool = True, start: np.ndarray | None = None, exclude_self: bool = True, max_sweeps: int = 20) -> tuple[np.ndarray, int]:

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions.rand import uniform
 from ..functions.text import WORD_BREAK, words
+from ..sources.files import settle
 
 
 def tokenize(df: DataFrame, id_col: str, text_col: str, pattern: str = WORD_BREAK, lower: bool = True) -> DataFrame:
@@ -86,7 +87,7 @@ def build_vocab(counts: DataFrame, parts: int = 32) -> DataFrame:
     Ids come from range-sorted partitions: rank within the partition plus the
     sizes of the partitions before it, so no single task sees all words.
     """
-    ranged = counts.repartitionByRange(parts, F.desc("tf"), "word").withColumn("__p", F.spark_partition_id())
+    ranged = settle(counts.repartitionByRange(parts, F.desc("tf"), "word").withColumn("__p", F.spark_partition_id()), "ranged")
     local = ranged.withColumn("__r", F.row_number().over(Window.partitionBy("__p").orderBy(F.desc("tf"), "word")))
     sizes = ranged.groupBy("__p").agg(F.count(F.lit(1)).alias("__n"))
     base = sizes.select("__p", (F.sum("__n").over(Window.orderBy("__p")) - F.col("__n")).alias("__b"))  # one row per partition
@@ -102,7 +103,7 @@ def pack(tokens: DataFrame, *, id_col: str = "doc_id", values: tuple[str, ...] =
     """One row per document with aligned arrays."""
     rows = F.array_sort(F.collect_list(F.struct("pos", *values)))
     out = tokens.groupBy(id_col).agg(rows.alias("r"))
-    return out.select(id_col, *(F.transform("r", lambda x, v=v: x[v]).alias(v + "s") for v in values))
+    return out.select(id_col, *(F.col("r")[v].alias(v + "s") for v in values))
 
 
 def unpack(packed: DataFrame, *, id_col: str = "doc_id", values: tuple[str, ...] = ("word_id", "z")) -> DataFrame:

@@ -58,7 +58,7 @@ def _sampler(s: Settings, psi: dict[int, np.ndarray], alpha: np.ndarray, iterati
         for part, ids, into, c in ((f[f["kind"] == 1], docs, theta, "doc_id"), (f[f["kind"] == 2], words, phi, "word_id")):
             at = np.searchsorted(ids, part[c].to_numpy())
             ok = (at < len(ids)) & (ids[np.minimum(at, len(ids) - 1)] == part[c].to_numpy()) if len(ids) else np.zeros(len(part), bool)
-            into[at[ok], part["topic"].to_numpy()[ok]] = part["n"].to_numpy()[ok]
+            into[at[ok], part["topic"].to_numpy()[ok].astype(int)] = part["n"].to_numpy()[ok]
         cfg = int(t["cfg"].iloc[0]) if len(t) else 0
         b = Block(d_at, w_at, t["z"].to_numpy().astype(int), theta, phi, psi[cfg].copy())
         u = block_uniforms(seed, iteration, tuple(int(t[k].iloc[0]) for k in key), len(t)) if len(t) else np.empty(0)

@@ -50,7 +50,7 @@ def sessions(events: DataFrame, gap: str = "30 minutes") -> DataFrame:
 
 def unique_queries(events: DataFrame, keys: list[str], late: str = "1 hour") -> DataFrame:
     """The first of equal keys within the watermark."""
-    return events.withWatermark("ts", late).dropDuplicatesWithinWatermark(keys)
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late).dropDuplicatesWithinWatermark(keys)
 
 
 def predict_stream(queries: DataFrame, predict: Callable[[DataFrame], DataFrame], name: str = "predictions") -> DataFrame:

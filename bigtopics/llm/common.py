@@ -53,6 +53,21 @@ def words_of(text: Column) -> Column:
     return F.regexp_extract_all(text, F.lit(f"({WORD})"), F.lit(1))
 
 
+def give_back() -> None:
+    """Returns freed memory of a Python worker to the system at the end of its task; workers live on."""
+    import ctypes
+    import gc
+
+    import pyarrow as pa
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
 def key_of(id_col: str, text_col: str) -> list[Column]:
     """Two columns, __bt_k1 and __bt_k2, that name a row by its id and text alone, so any two scans agree on them."""
     i = F.col(id_col).cast("long")

@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bloom import Bloom, build
-from .common import key_of, settle
+from .common import give_back, key_of, settle
 
 
 def chunk_ends(lines: list[bytes], *, window: int = 2, modulus: int = 4, most: int = 64) -> list[int]:
@@ -74,6 +74,7 @@ def chunk_hashes(rows: DataFrame, **how) -> DataFrame:
         for batch in batches:
             found = [xxhash.xxh64_intdigest(b) for t in batch.column(0).to_pylist() if t is not None for _, _, b in chunks_of(t, **how)]
             yield pa.RecordBatch.from_arrays([pa.array(np.array(found, np.uint64).view(np.int64))], schema=schema)
+        give_back()
 
     return rows.select("text").mapInArrow(cut, "hash long")
 
@@ -117,7 +118,8 @@ def removals(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text",
 
 def _apply(docs: DataFrame, spans: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """docs with __bt_spans (null: nothing to remove) and __bt_clean, the text without those lines."""
-    joined = docs.select("*", *key_of(id_col, text_col)).join(spans, ["__bt_k1", "__bt_k2"], "left")
+    # a shuffled join at every size: the removals grow with the documents
+    joined = docs.select("*", *key_of(id_col, text_col)).join(spans.hint("merge"), ["__bt_k1", "__bt_k2"], "left")
     lines = F.split(F.col(text_col), "\n", -1)
     # lines between the spans: from the end of one to the start of the next
     edges = lambda k: F.when(k == 0, 0).otherwise(F.get(F.col("__bt_spans"), k - 1)["end"])

@@ -44,7 +44,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .bloom import Bloom, build
-from .common import key_of, settle
+from .common import give_back, key_of, settle
 from .graph import components
 
 NUM, DEN = 4, 5
@@ -117,6 +117,7 @@ def _slices(batches: Iterator[pa.RecordBatch], text: str) -> Iterator[pa.RecordB
         for a, b in zip(edges, edges[1:], strict=False):
             if b > a:
                 yield batch.slice(a, b - a)
+    give_back()
 
 
 # --- bands and signatures ---------------------------------------------------------------------------
@@ -317,6 +318,8 @@ def candidates(blocks: DataFrame) -> DataFrame:
         c = np.concatenate([c for _, c, _ in members]) if members else np.empty(0, np.int64)
         z = np.concatenate([z for _, _, z in members]) if members else np.empty(0, np.int64)
         kind = np.repeat(np.array([0, 1], np.int32), [len(both), len(g)])
+        del parts, pairs, members
+        give_back()
         return pa.Table.from_arrays([pa.array(kind), pa.array(np.concatenate([both[:, 0], g])), pa.array(np.concatenate([both[:, 1], c])), pa.array(np.concatenate([np.zeros(len(both), np.int64), z]))], schema=_FOUND)
 
     return blocks.groupBy("bucket").applyInArrow(find, "kind int, a long, b long, size long")
@@ -453,7 +456,7 @@ def keep_one(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text",
     rows = join_components(docs, id_col=id_col, text_col=text_col, **options)
     best = rows.filter("cls is not null").groupBy("component").agg(F.min(F.struct(F.col("id").isNull().alias("none"), F.col("id").alias("i"), F.col("__bt_k1").alias("k1"), F.col("__bt_k2").alias("k2"))).alias("best"))
     keep = best.select(F.col("best.k1").alias("__bt_k1"), F.col("best.k2").alias("__bt_k2"), F.lit(True).alias("__bt_one")).union(rows.filter("cls is null").select("__bt_k1", "__bt_k2", F.lit(False)).distinct())
-    joined = docs.select("*", *key_of(id_col, text_col)).join(settle(keep, "keep"), ["__bt_k1", "__bt_k2"])
+    joined = docs.select("*", *key_of(id_col, text_col)).join(settle(keep, "keep").hint("merge"), ["__bt_k1", "__bt_k2"])
     # rows equal in id and text have one key: one of them stays
     turn = F.row_number().over(Window.partitionBy("__bt_k1", "__bt_k2").orderBy(F.lit(0)))
     return joined.withColumn("__bt_turn", turn).filter("not __bt_one or __bt_turn = 1").select(*docs.columns)

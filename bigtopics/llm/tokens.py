@@ -33,11 +33,12 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import fresh_path, text_of
+from .common import fresh_path, give_back, text_of
 
 END_ID = 2
 _PLAIN = re.compile("[!-~¡-įı-ſ]*")
 _SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"  # fixed value: the tokenizer's own split
+_MARKS = "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~'"
 _BYTES_AT_ONCE = 8 << 20
 
 
@@ -49,9 +50,9 @@ def _byte_letters() -> dict[int, str]:
 
 
 class Encoder:
-    """Encodes columns of whole texts; keeps the ids of at most ``limit`` pieces."""
+    """Encodes columns of whole texts; keeps the ids of about ``limit`` pieces, those met again before others."""
 
-    def __init__(self, path: str, limit: int = 500_000):
+    def __init__(self, path: str, limit: int = 400_000):
         import regex
         from tokenizers import Tokenizer
 
@@ -59,53 +60,82 @@ class Encoder:
         self.model, self.limit = self.whole.model, limit
         self.letters = _byte_letters()
         self.find = regex.compile(_SPLIT).findall
-        self.clear()
-
-    def clear(self) -> None:
         self.known, self.parts = {"": 0}, {}
-        self.ids, self.begin, self.length = array("I"), array("q", [0]), array("q", [0])
-
-    def part(self, s: str) -> list[int]:
-        got = self.parts.get(s)
-        if got is None:
+        self.ids, self.begin, self.length, self.again = array("I"), array("q", [0]), array("q", [0]), bytearray(1)
+
+    def shrink(self) -> None:
+        """Drops pieces that were met in one slice only; all, if that is not enough."""
+        keep = {s: k for s, k in self.known.items() if self.again[k] or not s}
+        if len(keep) > self.limit // 2:
+            keep = {"": 0}
+        at = np.fromiter(keep.values(), np.int64, len(keep))
+        ids, length = self._gather(at), np.frombuffer(self.length, np.int64)[at]
+        self.known, self.parts = {s: k for k, s in enumerate(keep)}, {}
+        self.ids, self.length = array("I", ids.tobytes()), array("q", length.tobytes())
+        self.begin, self.again = array("q", (np.cumsum(length) - length).tobytes()), bytearray(len(keep))
+
+    def _gather(self, at: np.ndarray) -> np.ndarray:
+        """Ids of the known pieces at these places, one after the other."""
+        begin, length = np.frombuffer(self.begin, np.int64)[at], np.frombuffer(self.length, np.int64)[at]
+        flat = np.arange(int(length.sum())) + np.repeat(begin - (np.cumsum(length) - length), length)
+        return np.frombuffer(self.ids, np.uint32)[flat] if len(flat) else np.empty(0, np.uint32)
+
+    def part(self, s: str) -> array:
+        span = self.parts.get(s)
+        if span is None:
             letters = s if s.isascii() else s.encode().decode("latin-1").translate(self.letters)
-            got = self.parts[s] = [t.id for t in self.model.tokenize(letters)]
-        return got
-
-    def piece(self, s: str) -> list[int]:
-        if "<|" in s or not _PLAIN.fullmatch(s):
-            return self.whole.encode(s, add_special_tokens=False).ids
+            got = array("I", [t.id for t in self.model.tokenize(letters)])
+            self.parts[s] = len(self.ids) << 24 | len(got)
+            self.ids.extend(got)
+            return got
+        a = span >> 24
+        return self.ids[a : a + (span & 0xFFFFFF)]
+
+    def add(self, s: str) -> int:
+        """Encodes a piece and gives its place."""
         low = s.lower()
-        if low.isalpha():
-            return self.part(low)
-        return [i for p in self.find(low) for i in self.part(p)]
+        if "<|" in s or len(s) > 1 << 20 or not _PLAIN.fullmatch(s):
+            got = array("I", self.whole.encode(s, add_special_tokens=False).ids)
+        elif low.isalpha():
+            n = len(self.part(low))
+            self.begin.append(self.parts[low] >> 24)
+            self.length.append(n)
+            self.again.append(0)
+            return len(self.begin) - 1
+        elif (head := low.rstrip(_MARKS)).isalpha():  # a word and marks after it: two parts
+            got = self.part(head) + self.part(low[len(head) :])
+        else:
+            got = array("I")
+            for p in self.find(low):
+                got.extend(self.part(p))
+        self.begin.append(len(self.ids))
+        self.length.append(len(got))
+        self.again.append(0)
+        self.ids.extend(got)
+        return len(self.begin) - 1
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts, END_ID after each, and the number of ids of each."""
         if len(self.known) > self.limit:
-            self.clear()
+            self.shrink()
         cut = pc.ascii_split_whitespace(texts)
+        many = np.asarray(pc.list_value_length(cut)).astype(np.int64)
         pieces = cut.flatten().dictionary_encode()
+        del cut
         unique, where = pieces.dictionary.to_pylist(), np.asarray(pieces.indices)
         at = np.empty(len(unique), np.int64)
-        known = self.known
+        known, again = self.known, self.again
         for j, s in enumerate(unique):
             k = known.get(s)
             if k is None:
-                got = self.piece(s)
-                k = known[s] = len(self.begin)
-                self.begin.append(len(self.ids))
-                self.length.append(len(got))
-                self.ids.extend(got)
+                k = known[s] = self.add(s)
+            else:
+                again[k] = 1
             at[j] = k
-        begin, length = np.frombuffer(self.begin, np.int64)[at][where], np.frombuffer(self.length, np.int64)[at][where]
-        many = np.asarray(pc.list_value_length(cut)).astype(np.int64)
-        upto = np.concatenate([[0], np.cumsum(length)])
-        piece_end = np.cumsum(many)
-        doc_end = upto[piece_end]
-        flat = np.repeat(begin - upto[:-1], length) + np.arange(upto[-1])
-        ids = np.frombuffer(self.ids, np.uint32)[flat] if len(self.ids) else np.empty(0, np.uint32)
-        return np.insert(ids, doc_end, END_ID), np.diff(doc_end, prepend=0) + 1
+        del unique, pieces
+        each = at[where]
+        doc_end = np.concatenate([[0], np.cumsum(np.frombuffer(self.length, np.int64)[each])])[np.cumsum(many)]
+        return np.insert(self._gather(each), doc_end, END_ID), np.diff(doc_end, prepend=0) + 1
 
 
 _encoders: dict[str, Encoder] = {}
@@ -130,6 +160,7 @@ def encoded(batches: Iterator[pa.RecordBatch], path: str, text: str) -> Iterator
             if b > a:
                 part = batch.slice(a, b - a)
                 yield part, *enc.encode(pc.fill_null(part.column(text), ""))
+    give_back()
 
 
 # --- files ------------------------------------------------------------------------------------------

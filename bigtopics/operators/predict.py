@@ -57,32 +57,50 @@ def ascend(rows: list[tuple[np.ndarray, np.ndarray]], best: np.ndarray, psi: np.
 
     Pruned: candidates are the word's best prior topic and the query's own topics; the maximum is the same as over all.
     """
-    den = psi + beta * vocab_size
     z = np.array(best if start is None else start, np.int64)
-    theta = np.bincount(z, minlength=len(psi)).astype(float)
+    sweep_once = _sweep_pruned if pruned else _sweep_full
+    theta = dict(zip(*(x.tolist() for x in np.unique(z, return_counts=True)), strict=True)) if pruned else np.bincount(z, minlength=len(psi)).astype(float)
     for sweep in range(1, max_sweeps + 1):
-        moved = False
-        for i, (topics, counts) in enumerate(rows):
-            old = z[i]
-            if exclude_self:
-                theta[old] -= 1
-            cand = np.unique(np.append(np.flatnonzero(theta), best[i])) if pruned else np.arange(len(psi))
-            f = np.zeros(len(cand))
-            at = np.searchsorted(cand, topics)
-            ok = at < len(cand)
-            ok[ok] = cand[at[ok]] == topics[ok]
-            f[at[ok]] = counts[ok]
-            score = (f + beta) / den[cand] * (theta[cand] + alpha[cand])
-            z[i] = cand[int(np.argmax(score))]  # the first of equals: the smallest topic
-            if not exclude_self:
-                theta[old] -= 1
-            theta[z[i]] += 1
-            moved |= z[i] != old
-        if not moved:
+        if not sweep_once(rows, best, z, theta, psi, alpha, beta, beta * vocab_size, exclude_self):
             break
     return z, sweep
 
 
+def _sweep_full(rows: list[tuple[np.ndarray, np.ndarray]], best: np.ndarray, z: np.ndarray, theta: np.ndarray, psi: np.ndarray, alpha: np.ndarray, beta: float, vb: float, exclude_self: bool) -> bool:
+    """Scores all topics for each place, in order; True if a label moved."""
+    moved, den = False, psi + vb
+    for i, (topics, counts) in enumerate(rows):
+        old = z[i]
+        theta[old] -= exclude_self
+        f = np.zeros(len(psi))
+        f[topics] = counts
+        z[i] = int(np.argmax((f + beta) / den * (theta + alpha)))  # the first of equals: the smallest topic
+        theta[old] -= not exclude_self
+        theta[z[i]] += 1
+        moved |= bool(z[i] != old)
+    return moved
+
+
+def _sweep_pruned(rows: list[tuple[np.ndarray, np.ndarray]], best: np.ndarray, z: np.ndarray, theta: dict[int, int], psi: np.ndarray, alpha: np.ndarray, beta: float, vb: float, exclude_self: bool) -> bool:
+    """Scores the query's own topics and the word's best prior topic; nothing here grows with the number of topics."""
+    moved = False
+    for i, (topics, counts) in enumerate(rows):
+        old = int(z[i])
+        theta[old] -= exclude_self
+        new, top = old, -1.0
+        for k in sorted({*(k for k, n in theta.items() if n), int(best[i])}):
+            at = int(topics.searchsorted(k))
+            f = counts[at] if at < len(topics) and topics[at] == k else 0.0
+            score = (f + beta) / (psi[k] + vb) * (theta.get(k, 0) + alpha[k])
+            if score > top:  # of equals the smallest topic stays
+                new, top = k, score
+        theta[old] -= not exclude_self
+        theta[new] = theta.get(new, 0) + 1
+        z[i] = new
+        moved |= new != old
+    return moved
+
+
 def sample_query(rows: list[tuple[np.ndarray, np.ndarray]], psi: np.ndarray, alpha: np.ndarray, beta: float, vocab_size: int, rng: np.random.Generator, *, sweeps: int = 30, burn_in: int = 10) -> np.ndarray:
     """Mean topic counts of a query over Gibbs sweeps with a fixed model."""
     den, n = psi + beta * vocab_size, len(rows)
@@ -109,25 +127,30 @@ def predict(queries: DataFrame, psi: list[float], alpha: list[float], beta: floa
 
     method: pruned, full (greedy ascent) or sampling.
     """
-    k, totals, prior = len(psi), np.array(psi, float), np.array(alpha, float)
+    totals, prior = np.array(psi, float), np.array(alpha, float)
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
-            out = []
+            docs, at, n = [np.empty(0, np.int64)], [np.empty(0, np.int32)], [np.empty(0)]
             for doc, best, topics, counts in zip(f["doc_id"], f["best_topic"], f["topics"], f["counts"], strict=True):
                 rows = [(np.asarray(t, np.int64), np.asarray(c, float)) for t, c in zip(topics, counts, strict=True)]
-                rng = np.random.Generator(np.random.Philox(np.random.SeedSequence([seed, abs(int(doc))])))
+                if method == "sampling" or trials > 1:
+                    rng = np.random.Generator(np.random.Philox(np.random.SeedSequence([seed, abs(int(doc))])))
                 if method == "sampling":
-                    n = sample_query(rows, totals, prior, beta, vocab_size, rng, **options)
+                    mean = sample_query(rows, totals, prior, beta, vocab_size, rng, **options)
+                    found = np.flatnonzero(mean)
+                    share = mean[found]
                 else:
-                    n = np.zeros(k)
+                    labels = []
                     for t in range(trials):
                         start = None if t == 0 else np.array([r[0][int(rng.integers(len(r[0])))] for r in rows])
-                        z, _ = ascend(rows, np.asarray(best), totals, prior, beta, vocab_size, pruned=method == "pruned", start=start, **options)
-                        n += np.bincount(z, minlength=k) / trials
-                at = np.flatnonzero(n)
-                out.append(pd.DataFrame({"doc_id": doc, "topic": at.astype("int32"), "n": n[at]}))
-            yield pd.concat(out) if out else pd.DataFrame({"doc_id": pd.Series([], dtype="int64"), "topic": pd.Series([], dtype="int32"), "n": pd.Series([], dtype="float64")})
+                        labels.append(ascend(rows, np.asarray(best), totals, prior, beta, vocab_size, pruned=method == "pruned", start=start, **options)[0])
+                    found, times = np.unique(np.concatenate(labels), return_counts=True)
+                    share = times / trials
+                docs.append(np.full(len(found), doc, np.int64))
+                at.append(found.astype(np.int32))
+                n.append(share)
+            yield pd.DataFrame({"doc_id": np.concatenate(docs), "topic": np.concatenate(at), "n": np.concatenate(n)})
 
     return queries.mapInPandas(run, "doc_id bigint, topic int, n double")
 

@@ -48,6 +48,37 @@ def snapshot_sweep(tokens_z: DataFrame, theta: DataFrame, phi: DataFrame, psi: D
 # --- kernels ----------------------------------------------------------------------------------------
 
 
+class Rows:
+    """Sparse rows of counts: each row's topics, ascending, and their counts (entries that fell to zero may stay)."""
+
+    def __init__(self, row: np.ndarray, topic: np.ndarray, n: np.ndarray, rows: int):
+        order = np.lexsort((topic, row))
+        cuts = np.searchsorted(row[order], np.arange(1, rows))
+        self.topics = np.split(topic[order].astype(np.int64), cuts)
+        self.counts = np.split(n[order].astype(float), cuts)
+
+    @classmethod
+    def of(cls, table: np.ndarray | Rows) -> Rows:
+        if isinstance(table, Rows):
+            return table
+        row, topic = np.nonzero(table)
+        return cls(row, topic, table[row, topic], len(table))
+
+    def dense(self, topics: int) -> np.ndarray:
+        out = np.zeros((len(self.topics), topics))
+        for r, (t, n) in enumerate(zip(self.topics, self.counts, strict=True)):
+            out[r, t] = n
+        return out
+
+    def add(self, r: int, k: int, by: float) -> None:
+        t = self.topics[r]
+        i = int(t.searchsorted(k))
+        if i < len(t) and t[i] == k:
+            self.counts[r][i] += by
+        else:
+            self.topics[r], self.counts[r] = np.insert(t, i, k), np.insert(self.counts[r], i, by)
+
+
 @dataclass
 class Block:
     """Tokens of a block, in order of (doc, pos), with local counts that already hold them."""
@@ -55,8 +86,8 @@ class Block:
     docs: np.ndarray  # local document of each token
     words: np.ndarray  # local word of each token
     z: np.ndarray
-    theta: np.ndarray  # documents x topics
-    phi: np.ndarray  # words x topics
+    theta: np.ndarray | Rows  # documents x topics
+    phi: np.ndarray | Rows  # words x topics
     psi: np.ndarray
 
 
@@ -68,34 +99,46 @@ def dense_probabilities(theta_d: np.ndarray, phi_w: np.ndarray, psi: np.ndarray,
 def sample_dense(b: Block, alpha: np.ndarray, beta: float, vocab_size: int, u: np.ndarray) -> np.ndarray:
     """New labels by the dense conditional with counts updated at once."""
     z = b.z.copy()
+    theta, phi = (x.dense(len(alpha)) if isinstance(x, Rows) else x for x in (b.theta, b.phi))
     for i in range(len(z)):
         d, w, k = b.docs[i], b.words[i], z[i]
-        b.theta[d, k] -= 1
-        b.phi[w, k] -= 1
+        theta[d, k] -= 1
+        phi[w, k] -= 1
         b.psi[k] -= 1
-        c = np.cumsum(dense_probabilities(b.theta[d], b.phi[w], b.psi, alpha, beta, vocab_size))
+        c = np.cumsum(dense_probabilities(theta[d], phi[w], b.psi, alpha, beta, vocab_size))
         k = min(int(np.searchsorted(c, u[i] * c[-1], "right")), len(c) - 1)
         z[i] = k
-        b.theta[d, k] += 1
-        b.phi[w, k] += 1
+        theta[d, k] += 1
+        phi[w, k] += 1
         b.psi[k] += 1
     return z
 
 
 def sample_buckets(b: Block, alpha: np.ndarray, beta: float, vocab_size: int, u: np.ndarray) -> np.ndarray:
-    """The same draw by three masses: word, document, prior; only non-zero topics are visited in the first two."""
-    z, vb = b.z.copy(), beta * vocab_size
-    prior = float((alpha * beta / (b.psi + vb)).sum())
+    """The same draw by three masses: word, document, prior; the first two visit the topics of the word and of the document alone.
+
+    Memory is that of the non-zero counts and of one document's vector over topics; all topics are visited only when the prior's mass is hit.
+    """
+    z, vb, psi = b.z.copy(), beta * vocab_size, b.psi
+    theta, phi = Rows.of(b.theta), Rows.of(b.phi)
+    here, mine = -1, np.zeros(len(alpha))
+    prior = float((alpha * beta / (psi + vb)).sum())
     for i in range(len(z)):
         d, w, k = b.docs[i], b.words[i], z[i]
-        prior -= alpha[k] * beta / (b.psi[k] + vb)
-        b.theta[d, k] -= 1
-        b.phi[w, k] -= 1
-        b.psi[k] -= 1
-        prior += alpha[k] * beta / (b.psi[k] + vb)
-        kw, kd = np.flatnonzero(b.phi[w]), np.flatnonzero(b.theta[d])
-        mw = (alpha[kw] + b.theta[d, kw]) * b.phi[w, kw] / (b.psi[kw] + vb)
-        md = b.theta[d, kd] * beta / (b.psi[kd] + vb)
+        if d != here:
+            if here >= 0:
+                mine[theta.topics[here]] = 0.0
+            mine[theta.topics[d]] = theta.counts[d]
+            here = d
+        prior -= alpha[k] * beta / (psi[k] + vb)
+        theta.add(d, k, -1.0)
+        phi.add(w, k, -1.0)
+        mine[k] -= 1
+        psi[k] -= 1
+        prior += alpha[k] * beta / (psi[k] + vb)
+        kw, kd = phi.topics[w], theta.topics[d]
+        mw = (alpha[kw] + mine[kw]) * phi.counts[w] / (psi[kw] + vb)
+        md = theta.counts[d] * beta / (psi[kd] + vb)
         sw, sd = float(mw.sum()), float(md.sum())
         x = u[i] * (sw + sd + prior)
         if x < sw:
@@ -103,14 +146,15 @@ def sample_buckets(b: Block, alpha: np.ndarray, beta: float, vocab_size: int, u:
         elif x < sw + sd:
             at, c, x = kd, np.cumsum(md), x - sw
         else:
-            at, c, x = np.arange(len(alpha)), np.cumsum(alpha * beta / (b.psi + vb)), x - sw - sd
+            at, c, x = np.arange(len(alpha)), np.cumsum(alpha * beta / (psi + vb)), x - sw - sd
         k = int(at[min(int(np.searchsorted(c, x, "right")), len(c) - 1)])
         z[i] = k
-        prior -= alpha[k] * beta / (b.psi[k] + vb)
-        b.theta[d, k] += 1
-        b.phi[w, k] += 1
-        b.psi[k] += 1
-        prior += alpha[k] * beta / (b.psi[k] + vb)
+        prior -= alpha[k] * beta / (psi[k] + vb)
+        theta.add(d, k, 1.0)
+        phi.add(w, k, 1.0)
+        mine[k] += 1
+        psi[k] += 1
+        prior += alpha[k] * beta / (psi[k] + vb)
     return z
 
 

@@ -16,7 +16,7 @@ from ..operators.baselines import ModelTooLarge
 from ..operators.counts import count_doc_topic, count_topic, count_word_topic
 from ..operators.placement import diagonal, doc_shard, word_shard
 from ..operators.prior import length_histogram, optimise_alpha, topic_doc_histogram
-from ..operators.sampling import KERNELS, Block, block_uniforms
+from ..operators.sampling import KERNELS, Block, Rows, block_uniforms
 from ..sources.files import scratch, settle
 
 
@@ -48,19 +48,20 @@ _TAGGED = "kind int, cfg bigint, doc_id bigint, pos bigint, word_id bigint, z in
 
 def _sampler(s: Settings, psi: dict[int, np.ndarray], alpha: np.ndarray, iteration: int, key: tuple[str, ...]):
     """The function of one block: rows of tokens (kind 0), document counts (1) and word counts (2) in, labelled tokens out."""
-    topics, beta, vocab, kernel, seed = s.topics, s.beta, s.vocab_size, s.kernel, s.seed
+    beta, vocab, kernel, seed = s.beta, s.vocab_size, s.kernel, s.seed
 
     def run(f: pd.DataFrame) -> pd.DataFrame:
         t = f[f["kind"] == 0].sort_values(["doc_id", "pos"])
         docs, d_at = np.unique(t["doc_id"].to_numpy(), return_inverse=True)
         words, w_at = np.unique(t["word_id"].to_numpy(), return_inverse=True)
-        theta, phi = np.zeros((len(docs), topics)), np.zeros((len(words), topics))
-        for part, ids, into, c in ((f[f["kind"] == 1], docs, theta, "doc_id"), (f[f["kind"] == 2], words, phi, "word_id")):
-            at = np.searchsorted(ids, part[c].to_numpy())
-            ok = (at < len(ids)) & (ids[np.minimum(at, len(ids) - 1)] == part[c].to_numpy()) if len(ids) else np.zeros(len(part), bool)
-            into[at[ok], part["topic"].to_numpy()[ok].astype(int)] = part["n"].to_numpy()[ok]
+        tables = []
+        for part, ids, c in ((f[f["kind"] == 1], docs, "doc_id"), (f[f["kind"] == 2], words, "word_id")):
+            own = part[c].to_numpy()
+            at = np.searchsorted(ids, own)
+            ok = (at < len(ids)) & (ids[np.minimum(at, len(ids) - 1)] == own) if len(ids) else np.zeros(len(part), bool)
+            tables.append(Rows(at[ok], part["topic"].to_numpy()[ok].astype(np.int64), part["n"].to_numpy()[ok], len(ids)))
         cfg = int(t["cfg"].iloc[0]) if len(t) else 0
-        b = Block(d_at, w_at, t["z"].to_numpy().astype(int), theta, phi, psi[cfg].copy())
+        b = Block(d_at, w_at, t["z"].to_numpy().astype(int), *tables, psi[cfg].copy())
         u = block_uniforms(seed, iteration, tuple(int(t[k].iloc[0]) for k in key), len(t)) if len(t) else np.empty(0)
         new = KERNELS[kernel](b, alpha, beta, vocab, u)
         return t.assign(z=new.astype("int32"))[["cfg", "doc_id", "pos", "word_id", "z", "doc_shard", "word_shard"]]

@@ -7,6 +7,7 @@ query at a time, so their cost does not depend on the corpus.
 
 from __future__ import annotations
 
+import time
 from collections.abc import Iterator
 
 import numpy as np
@@ -122,37 +123,43 @@ def sample_query(rows: list[tuple[np.ndarray, np.ndarray]], psi: np.ndarray, alp
     return total / max(1, sweeps - burn_in)
 
 
-def predict(queries: DataFrame, psi: list[float], alpha: list[float], beta: float, vocab_size: int, *, method: str = "pruned", trials: int = 1, seed: int = 7, **options) -> DataFrame:
+def predict(queries: DataFrame, psi: list[float], alpha: list[float], beta: float, vocab_size: int, *, method: str = "pruned", trials: int = 1, seed: int = 7, timed: bool = False, **options) -> DataFrame:
     """doc_id, topic, n: topic counts of packed queries (mean over trials or sweeps).
 
-    method: pruned, full (greedy ascent) or sampling.
+    method: pruned, full (greedy ascent) or sampling.  timed: instead a row per
+    batch, queries and the seconds its kernel took on its core.
     """
     totals, prior = np.array(psi, float), np.array(alpha, float)
 
+    def solve(f: pd.DataFrame) -> pd.DataFrame:
+        docs, at, n = [np.empty(0, np.int64)], [np.empty(0, np.int32)], [np.empty(0)]
+        for doc, best, topics, counts in zip(f["doc_id"], f["best_topic"], f["topics"], f["counts"], strict=True):
+            rows = [(np.asarray(t, np.int64), np.asarray(c, float)) for t, c in zip(topics, counts, strict=True)]
+            if method == "sampling" or trials > 1:
+                rng = np.random.Generator(np.random.Philox(np.random.SeedSequence([seed, abs(int(doc))])))
+            if method == "sampling":
+                mean = sample_query(rows, totals, prior, beta, vocab_size, rng, **options)
+                found = np.flatnonzero(mean)
+                share = mean[found]
+            else:
+                labels = []
+                for t in range(trials):
+                    start = None if t == 0 else np.array([r[0][int(rng.integers(len(r[0])))] for r in rows])
+                    labels.append(ascend(rows, np.asarray(best), totals, prior, beta, vocab_size, pruned=method == "pruned", start=start, **options)[0])
+                found, times = np.unique(np.concatenate(labels), return_counts=True)
+                share = times / trials
+            docs.append(np.full(len(found), doc, np.int64))
+            at.append(found.astype(np.int32))
+            n.append(share)
+        return pd.DataFrame({"doc_id": np.concatenate(docs), "topic": np.concatenate(at), "n": np.concatenate(n)})
+
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
-            docs, at, n = [np.empty(0, np.int64)], [np.empty(0, np.int32)], [np.empty(0)]
-            for doc, best, topics, counts in zip(f["doc_id"], f["best_topic"], f["topics"], f["counts"], strict=True):
-                rows = [(np.asarray(t, np.int64), np.asarray(c, float)) for t, c in zip(topics, counts, strict=True)]
-                if method == "sampling" or trials > 1:
-                    rng = np.random.Generator(np.random.Philox(np.random.SeedSequence([seed, abs(int(doc))])))
-                if method == "sampling":
-                    mean = sample_query(rows, totals, prior, beta, vocab_size, rng, **options)
-                    found = np.flatnonzero(mean)
-                    share = mean[found]
-                else:
-                    labels = []
-                    for t in range(trials):
-                        start = None if t == 0 else np.array([r[0][int(rng.integers(len(r[0])))] for r in rows])
-                        labels.append(ascend(rows, np.asarray(best), totals, prior, beta, vocab_size, pruned=method == "pruned", start=start, **options)[0])
-                    found, times = np.unique(np.concatenate(labels), return_counts=True)
-                    share = times / trials
-                docs.append(np.full(len(found), doc, np.int64))
-                at.append(found.astype(np.int32))
-                n.append(share)
-            yield pd.DataFrame({"doc_id": np.concatenate(docs), "topic": np.concatenate(at), "n": np.concatenate(n)})
-
-    return queries.mapInPandas(run, "doc_id bigint, topic int, n double")
+            begun = time.perf_counter()
+            done = solve(f)
+            yield pd.DataFrame({"queries": [len(f)], "seconds": [time.perf_counter() - begun]}) if timed else done
+
+    return queries.mapInPandas(run, "queries bigint, seconds double" if timed else "doc_id bigint, topic int, n double")
 
 
 def trial_average(trials: DataFrame) -> DataFrame:

@@ -73,6 +73,25 @@ def exp_predictors(spark, d, topics=16, iterations=3):
     return spark.createDataFrame(rows, "method string, queries bigint, per_second double, perplexity double")
 
 
+@query()
+def exp_predictor_rate(spark, d, ks=(16, 256, 4096)):
+    """Queries a second of one core by each predictor for growing numbers of topics: kernel time alone, over all held-out baskets."""
+    tokens = settle(corpora.baskets(_t(spark, d, "lineitem")), "tokens")
+    test = settle(tokens.filter(uniform("doc_id") < 0.1), "test")
+    v, rows = tokens.select("word_id").distinct().count(), []
+    for k in ks:
+        tz = settle(counts.init_topics(tokens, k), "labels")
+        phi, psi = (settle(x, "model") for x in (counts.count_word_topic(tz), counts.count_topic(tz)))
+        alpha, totals = counts.flat_alpha(psi, 0.1), [0] * k
+        for r in psi.collect():
+            totals[r.topic] = r.n
+        q = settle(predict.packed_queries(test, phi, predict.best_prior_topic(phi, psi, alpha, 0.01, v)), "queries")
+        for method in ("pruned", "full", "sampling"):
+            t = predict.predict(q, totals, [0.1] * k, 0.01, v, method=method, timed=True).agg(F.sum("queries").alias("n"), F.sum("seconds").alias("s")).first()
+            rows.append((k, method, t.n, round(t.n / t.s, 1)))
+    return spark.createDataFrame(rows, "topics bigint, method string, queries bigint, per_second_core double")
+
+
 @query()
 def exp_iteration_time(spark, d, ks=(8, 64, 512)):
     """Seconds of an iteration for growing numbers of topics: the grid, and the rival until its full copy is refused."""

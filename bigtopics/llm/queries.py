@@ -53,7 +53,7 @@ def op7_jaccard_partition(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_line_chunks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return line_report(table(spark, sf_dir, "documents"))
+    return line_report(table(spark, sf_dir, "documents"), runs=True)
 
 
 def op9_merkle_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:

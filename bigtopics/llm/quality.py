@@ -4,7 +4,11 @@ Every document gets two histograms: character classes and common words of its
 language.  References are the mean histograms of each language over the whole
 corpus.  A document with enough words is rejected if the Jensen-Shannon
 distance of either histogram to its language's reference is too large; shorter
-ones are judged by the base rule alone.
+ones are judged by the base rule alone (which by default rejects them).
+
+The limit for common words follows from the reference: it is the distance of a
+document that has a twentieth of its language's share of common words, so one
+without any is always beyond it.  It holds for languages with a list of their own.
 
 Defined cases: a null text is empty (fails the base rule); a null or rare
 language is held against the reference of all documents; repeated rows each get
@@ -30,6 +34,10 @@ MAX_LANGUAGES = 1024
 
 
 N_COMMON = 16
+#: The limit for common words is where a document has this part of its language's share of them.
+COMMON_PART = 0.05
+#: The limit is used where so many common words are expected at least; fewer may be absent by chance.
+EXPECTED_COMMON = 5
 
 
 def _only(col: str, kept: str) -> Column:
@@ -106,7 +114,10 @@ def fit_references(measured: DataFrame, *, min_words: int = 50, min_docs: int =
 
     def pack(d: DataFrame, lang: Column) -> DataFrame:
         mean = lambda p: F.array(*(F.col(c) / F.col("__bt_n") for c in names if c[0] == p))
-        return d.select(lang.alias("__bt_lang"), mean("c").alias("__bt_ref_chars"), mean("w").alias("__bt_ref_common"))
+        out = d.select(lang.alias("__bt_lang"), mean("c").alias("__bt_ref_chars"), mean("w").alias("__bt_ref_common"))
+        share = 1 - F.get("__bt_ref_common", F.lit(N_COMMON))
+        few = F.transform("__bt_ref_common", lambda x, i: F.when(i < N_COMMON, x * COMMON_PART).otherwise(1 - share * COMMON_PART))
+        return out.select("*", share.alias("__bt_ref_share"), js_distance(few, F.col("__bt_ref_common")).alias("__bt_ref_limit"))
 
     own = sums.filter((F.col("__bt_n") >= min_docs) & F.col("__bt_lang").isNotNull()).orderBy(F.desc("__bt_n"), "__bt_lang").limit(MAX_LANGUAGES)
     whole = sums.agg(F.sum("__bt_n").alias("__bt_n"), *(F.sum(c).alias(c) for c in names)).filter("__bt_n > 0")
@@ -121,14 +132,19 @@ def js_distance(p: Column, q: Column) -> Column:
 
 
 def verdicts(measured: DataFrame, references: DataFrame, *, min_words: int = 50, max_js_chars: float = 0.30, max_js_common: float = 0.60) -> DataFrame:
-    """measured with __bt_js_chars, __bt_js_common, __bt_base_failed and __bt_kept."""
+    """measured with __bt_js_chars, __bt_js_common, __bt_base_failed and __bt_kept.
+
+    The common-word limit is that of the language's reference, or max_js_common where that is less or the language has no list or reference of its own.
+    """
     own = F.broadcast(references.filter("__bt_lang is not null"))
     whole = F.broadcast(references.filter("__bt_lang is null").select(F.col("__bt_ref_chars").alias("__bt_all_chars"), F.col("__bt_ref_common").alias("__bt_all_common"), F.lit(1).alias("__bt_one")))
     df = measured.withColumn("__bt_one", F.lit(1)).join(own, "__bt_lang", "left").join(whole, "__bt_one", "left")
     distance = lambda a, own_ref, all_ref: F.coalesce(js_distance(F.col(a), F.coalesce(own_ref, all_ref)), F.lit(0.0))
     df = df.select("*", distance("__bt_chars", "__bt_ref_chars", "__bt_all_chars").alias("__bt_js_chars"), distance("__bt_common", "__bt_ref_common", "__bt_all_common").alias("__bt_js_common"))
     failed = (F.col("__bt_n_words") < 50) | (100 * F.col("__bt_n_repeat_words") > 50 * F.col("__bt_n_words"))
-    passes = (F.col("__bt_n_words") < min_words) | ((F.col("__bt_js_chars") <= max_js_chars) & (F.col("__bt_js_common") <= max_js_common))
+    listed = F.col("__bt_lang").isin(*COMMON) & (F.col("__bt_n_words") * F.col("__bt_ref_share") >= EXPECTED_COMMON)
+    limit = F.least(F.lit(max_js_common), F.when(listed, F.col("__bt_ref_limit")))  # nulls are passed over
+    passes = (F.col("__bt_n_words") < min_words) | ((F.col("__bt_js_chars") <= max_js_chars) & (F.col("__bt_js_common") <= limit))
     return df.select("*", failed.alias("__bt_base_failed"), (~failed & passes).alias("__bt_kept"))
 
 

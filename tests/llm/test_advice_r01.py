@@ -2,6 +2,7 @@
 
 import random
 
+from bigtopics.llm import quality
 from bigtopics.llm.line_dedup import line_report
 
 
@@ -38,3 +39,17 @@ def test_every_repeated_run_of_lines_goes(spark):
     assert all(got[d].n_removed_lines == n for d, n in planted.items())
     assert {x for _, t in rows for x in t.split("\n")} == {x for t in want.values() for x in t.split("\n")}
     assert {x.doc_id: x.text for x in line_report(df, runs=True, bloom_bits=64).collect()} == {d: x.text for d, x in got.items()}
+
+
+def test_long_text_without_common_words_goes_and_clean_text_stays(spark):
+    r = random.Random(6)
+    rare = lambda: "".join(r.choice("abcdeghilmnorstu") for _ in range(r.randrange(5, 9)))
+    text = lambda lang, n: " ".join(r.choice(quality.COMMON[lang]) if lang and r.random() < 0.18 else rare() for _ in range(n))
+    rows = [(lang, text(lang, r.randrange(70, 400)), True) for lang in ("en", "de", "fr") for _ in range(60)]
+    rows += [(lang, text(None, n), False) for lang in ("en", "de", "fr") for n in (60, 300, 1500)]
+    rows += [("en", text("de", 400), False), ("de", text("fr", 400), False)]  # a wrong label
+    rows += [("xx", text(None, 300), True), (None, text("fr", 300), True)]  # no list of its own
+    df = spark.createDataFrame([(i, t, lang) for i, (lang, t, _) in enumerate(rows)], "doc_id bigint, text string, lang string")
+    got = {x.doc_id: x.kept for x in quality.quality_report(df).collect()}
+    assert [i for i, (*_, kept) in enumerate(rows) if got[i] != kept] == []
+    assert quality.keep_good(df).count() == sum(x[2] for x in rows)

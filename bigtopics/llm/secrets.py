@@ -2,9 +2,11 @@
 
 Candidates are found in every whole text by Java regular expressions.  The
 secret part of each candidate is hashed, and hashes are aggregated over the
-whole corpus by distinct repositories and owners.  A hash seen with many owners
-is a copied example; one that stays with few owners and looks random is a
-live-looking credential.  Candidates of the wide ``owned`` kind (long mixed-case
+whole corpus by distinct owners, repositories and documents.  A hash seen with
+many of any of these is a copied example, also inside one owner; one that is not,
+stays with few owners and looks random is a live-looking credential.  A value
+between the two (by default: two owners, few repositories and documents) is
+undecided: neither count has it.  Candidates of the wide ``owned`` kind (long mixed-case
 runs with digits) are reported only if the corpus says they are live-looking;
 the base kinds are always reported.
 
@@ -75,8 +77,8 @@ def find_candidates(docs: DataFrame, *, text_col: str, keep: list[Column]) -> Da
 
 
 def ownership(candidates: DataFrame) -> DataFrame:
-    """Distinct repositories and owners of each __bt_hash; two levels of map-side combined counts, so a hot hash never meets in one task."""
-    once = candidates.groupBy("__bt_hash", "__bt_owner", "__bt_repo").agg(F.count(F.lit(1)).alias("__bt_n"))
+    """Distinct owners, repositories and documents of each __bt_hash; levels of map-side combined counts, so a hot hash never meets in one task."""
+    once = candidates.select("__bt_row", "__bt_hash", "__bt_owner", "__bt_repo").distinct().groupBy("__bt_hash", "__bt_owner", "__bt_repo").agg(F.count(F.lit(1)).alias("__bt_n"))
     owners = once.groupBy("__bt_hash", "__bt_owner").agg(F.count(F.lit(1)).alias("__bt_repos"), F.sum("__bt_n").alias("__bt_n"))
     return owners.groupBy("__bt_hash").agg(F.count(F.lit(1)).alias("__bt_n_owners"), F.sum("__bt_repos").alias("__bt_n_repos"), F.sum("__bt_n").alias("__bt_n_seen"))
 
@@ -86,15 +88,17 @@ def _joined(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda x: F.concat_ws(":", F.get(names, x["rank"]), x["start"].cast("string"), x["end"].cast("string"))), ",")
 
 
-def scan_secrets(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", owner_col: str = "source", repo_cols: tuple[str, ...] = ("source", "lang"), shared_from: int = 3, owned_up_to: int = 1, live_distinct: int = 8) -> DataFrame:
+def scan_secrets(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", owner_col: str = "source", repo_cols: tuple[str, ...] = ("source", "lang"), shared_from: int = 3, shared_repos_from: int = 3, shared_docs_from: int = 10, owned_up_to: int = 1, live_distinct: int = 8) -> DataFrame:
     """One row per input row: spans of all kinds and how the corpus owns them.
 
     ``shared_from``: owners from which a value counts as a widely copied example.
-    ``owned_up_to``: owners up to which it counts as owner-specific.
+    ``shared_repos_from``, ``shared_docs_from``: distinct repositories, or documents, from which it counts as one too, whatever its owners.
+    ``owned_up_to``: owners up to which a value that is not widely copied counts as owner-specific.
     ``live_distinct``: least number of different characters in a live-looking value.
     Columns: id, n_assign, n_access, n_hex, base_sha256, spans, n_shared (base
     spans that are copied examples), n_live (spans that are owner-specific and
-    live-looking).
+    live-looking), max_owners, max_repos, max_docs (the largest counts of any of
+    its values; 0 without values).
     """
     owner = F.coalesce(F.col(owner_col).cast("string"), F.lit("?"))
     repo = F.concat_ws("/", *(F.coalesce(F.col(c).cast("string"), F.lit("?")) for c in repo_cols))
@@ -103,14 +107,16 @@ def scan_secrets(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
     each = found.select("__bt_row", "__bt_owner", "__bt_repo", F.explode(F.concat("__bt_base", "__bt_owned")).alias("__bt_x"))
     value = F.col("__bt_x.value")
     each = each.select("__bt_row", "__bt_owner", "__bt_repo", F.col("__bt_x.start").alias("__bt_start"), F.col("__bt_x.rank").alias("__bt_rank"), F.col("__bt_x.end").alias("__bt_end"), F.sha2(value, 256).alias("__bt_hash"), ((F.size(F.array_distinct(F.split(value, ""))) >= live_distinct) & ~value.rlike(PLACEHOLDER)).alias("__bt_looks_live"))
-    owned = F.col("__bt_n_owners") <= owned_up_to
+    shared = (F.col("__bt_n_owners") >= shared_from) | (F.col("__bt_n_repos") >= shared_repos_from) | (F.col("__bt_n_seen") >= shared_docs_from)
+    owned = ~shared & (F.col("__bt_n_owners") <= owned_up_to)
     live = owned & F.col("__bt_looks_live")
     wide = F.col("__bt_rank") == len(KINDS) - 1
     # written, so that the join shuffles both sides and a hot value's partition can be split
     judged = each.join(settle(ownership(each), "owners"), "__bt_hash").groupBy("__bt_row").agg(
-        F.count_if((F.col("__bt_n_owners") >= shared_from) & ~wide).alias("__bt_shared"),
+        F.count_if(shared & ~wide).alias("__bt_shared"),
         F.count_if(live).alias("__bt_live"),
         F.collect_list(F.when(wide & live, F.struct(F.col("__bt_start").alias("start"), F.col("__bt_rank").alias("rank"), F.col("__bt_end").alias("end")))).alias("__bt_added"),
+        *(F.max(f"__bt_n_{k}").alias(f"__bt_max_{k}") for k in ("owners", "repos", "seen")),
     )
     bare = F.transform("__bt_base", lambda x: F.struct(x["start"].alias("start"), x["rank"].alias("rank"), x["end"].alias("end")))
     added = F.coalesce(F.col("__bt_added"), F.expr("cast(array() as array<struct<start:bigint,rank:int,end:bigint>>)"))
@@ -119,4 +125,5 @@ def scan_secrets(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
         F.col("__bt_id").alias(id_col), count(0).alias("n_assign"), count(1).alias("n_access"), count(2).alias("n_hex"),
         F.sha2(_joined(bare), 256).alias("base_sha256"), _joined(F.sort_array(F.concat(bare, added))).alias("spans"),
         F.coalesce("__bt_shared", F.lit(0)).cast("bigint").alias("n_shared"), F.coalesce("__bt_live", F.lit(0)).cast("bigint").alias("n_live"),
+        *(F.coalesce(f"__bt_max_{k}", F.lit(0)).cast("bigint").alias(f"max_{name}") for k, name in (("owners", "owners"), ("repos", "repos"), ("seen", "docs"))),
     )

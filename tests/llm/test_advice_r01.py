@@ -2,7 +2,7 @@
 
 import random
 
-from bigtopics.llm import quality
+from bigtopics.llm import quality, secrets
 from bigtopics.llm.line_dedup import line_report
 
 
@@ -53,3 +53,16 @@ def test_long_text_without_common_words_goes_and_clean_text_stays(spark):
     got = {x.doc_id: x.kept for x in quality.quality_report(df).collect()}
     assert [i for i, (*_, kept) in enumerate(rows) if got[i] != kept] == []
     assert quality.keep_good(df).count() == sum(x[2] for x in rows)
+
+
+def test_a_value_copied_inside_one_owner_is_shared(spark):
+    key = lambda k: f"aB3dE5fG7hJ9kL1mN2p{k}"
+    row = lambda k, source, lang: (f"secret={key(k)} and a run {key(k)}Zy8Xx", lang, source)
+    rows = [row(1, "s0", lang) for lang in ("en", "fr", "de")]  # three repositories of one owner
+    rows += [row(2, "s0", "en") for _ in range(10)]  # ten documents of one repository
+    rows += [row(3, "s0", "en") for _ in range(9)] + [row(4, "s0", "en"), row(4, "s1", "en")]
+    rows += [(f"token={key(5)} " * 12, "en", "s0")]  # often, but in one document
+    df = spark.createDataFrame([(i, *x) for i, x in enumerate(rows)], "doc_id bigint, text string, lang string, source string")
+    got = [x for x in sorted(secrets.scan_secrets(df).collect(), key=lambda x: x.doc_id)]
+    counts = [(x.n_shared, x.n_live, x.spans.count("owned"), x.max_owners, x.max_repos, x.max_docs) for x in got]
+    assert counts == [(1, 0, 0, 1, 3, 3)] * 3 + [(1, 0, 0, 1, 1, 10)] * 10 + [(0, 2, 1, 1, 1, 9)] * 9 + [(0, 0, 0, 2, 2, 2)] * 2 + [(0, 12, 0, 1, 1, 1)]

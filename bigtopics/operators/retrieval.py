@@ -120,6 +120,53 @@ def weak_and(queries: DataFrame, vectors: DataFrame, k: int, shards: int = 8) ->
     return rank(got, k)
 
 
+def as_lists(vectors: DataFrame) -> DataFrame:
+    """doc_id, words, w: a row per sparse vector."""
+    return vectors.groupBy("doc_id").agg(F.collect_list(F.struct("word_id", "w")).alias("x")).select("doc_id", F.col("x.word_id").alias("words"), F.col("x.w").alias("w"))
+
+
+def search_blocks(queries: DataFrame, docs: DataFrame, k: int, query_block: int = 512, doc_block: int = 4096, digits: int = 9) -> DataFrame:
+    """query_id, doc_id, score, rank: for each query its top k of all other docs, every pair scored; ties go to the smaller document.
+
+    Both sides are rows of doc_id, words, w.  A task multiplies one block of queries and one of documents, so blocks grow in number, not in size.
+    """
+    nq, nd = (max(1, -(-df.count() // size)) for df, size in ((queries, query_block), (docs, doc_block)))
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    q = queries.withColumn("qb", F.pmod(F.xxhash64("doc_id"), F.lit(nq)).cast("int")).withColumn("db", every(nd))
+    d = docs.withColumn("db", F.pmod(F.xxhash64("doc_id"), F.lit(nd)).cast("int")).withColumn("qb", every(nq))
+
+    # names of its own: queries may come from docs, and a cogroup takes equal columns of both sides for one
+    q = q.select("qb", "db", F.col("doc_id").alias("query_id"), F.col("words").alias("q_words"), F.col("w").alias("q_w"))
+
+    def best(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        a = a.rename(columns={"query_id": "doc_id", "q_words": "words", "q_w": "w"})
+        out: dict = {"query_id": [], "doc_id": [], "score": []}
+        if len(a) and len(b):
+            dims = np.unique(np.concatenate([np.asarray(x) for x in a["words"]]))
+
+            def matrix(f: pd.DataFrame) -> np.ndarray:
+                m = np.zeros((len(f), len(dims)))
+                for i, (x, w) in enumerate(zip(f["words"], f["w"], strict=True)):
+                    x, w = np.asarray(x), np.asarray(w)
+                    at = np.minimum(np.searchsorted(dims, x), len(dims) - 1)
+                    ok = dims[at] == x
+                    m[i, at[ok]] = w[ok]
+                return m
+
+            b = b.sort_values("doc_id")
+            ids, scores = b["doc_id"].to_numpy(), np.round(matrix(a) @ matrix(b).T, digits)
+            for own, row in zip(a["doc_id"], scores, strict=True):
+                order = np.argsort(-row, kind="stable")[: k + 1]
+                order = order[ids[order] != own][:k]
+                out["query_id"] += [own] * len(order)
+                out["doc_id"] += ids[order].tolist()
+                out["score"] += row[order].tolist()
+        return pd.DataFrame(out)
+
+    got = q.groupBy("qb", "db").cogroup(d.groupBy("qb", "db")).applyInPandas(best, "query_id bigint, doc_id bigint, score double")
+    return rank(got, k, digits)
+
+
 def expand_query(vectors: DataFrame, features: DataFrame, mode: str = "mix", weight: float = 0.5) -> DataFrame:
     """Query vectors with topic words: doc_id, word_id, w (unit length).  replace: topic words alone; mix: a weighted sum."""
     f = features.select("doc_id", "word_id", F.col("p").alias("x"))

@@ -19,9 +19,9 @@ _BG = f", r AS (SELECT psi.topic, {ALPHA} / (psi.n + v * {BETA}) AS r FROM psi,
 _LIKE = _BG + f", q AS (SELECT * FROM theta WHERE doc_id % 100 = 0), lq AS (SELECT doc_id, sum(n) AS len FROM q GROUP BY doc_id), own AS (SELECT q.doc_id, phi.word_id, sum(q.n * phi.n / (psi.n + v * {BETA})) AS own FROM q JOIN psi ON psi.topic = q.topic JOIN phi ON phi.topic = q.topic CROSS JOIN v GROUP BY ALL), flat AS (SELECT doc_id, sum(q.n * {BETA} / (psi.n + v * {BETA})) AS flat FROM q JOIN psi USING (topic), v GROUP BY doc_id), wl AS (SELECT doc_id, word_id, (own + flat + g) / (len + {ALPHA * TOPICS}) AS p FROM own JOIN flat USING (doc_id) JOIN lq USING (doc_id) JOIN g USING (word_id))"
 
 
-def _likelihood(spark, d):
+def _likelihood(spark, d, ids="doc_id % 100 = 0"):
     _, theta, phi, psi, alpha, v = _model(spark, d)
-    return retrieval.word_likelihood(theta.filter("doc_id % 100 = 0"), phi, psi, alpha, BETA, v)
+    return retrieval.word_likelihood(theta.filter(ids), phi, psi, alpha, BETA, v)
 
 
 @query(STATE + _LIKE + " SELECT doc_id, word_id, round(p, 9) AS p FROM wl")
@@ -34,6 +34,18 @@ def topic_features_top30(spark, d):
     return retrieval.topic_features(_likelihood(spark, d), 30)
 
 
+@query()
+def word_likelihood_all(spark, d):
+    """word_likelihood of every basket; the query with SQL has the ids divisible by 100."""
+    return _likelihood(spark, d, "true").withColumn("p", F.round("p", 9))
+
+
+@query()
+def topic_features_all(spark, d):
+    """topic_features_top30 of every basket."""
+    return retrieval.topic_features(_likelihood(spark, d, "true"), 30)
+
+
 VEC = ", f AS (SELECT doc_id, word AS word_id, count(*) AS tf FROM t GROUP BY ALL), x AS (SELECT doc_id, word_id, f.tf * ln((SELECT count(DISTINCT doc_id) FROM t) / df) AS x FROM f JOIN wc ON word = word_id), vec AS (SELECT doc_id, word_id, x / sqrt(sum(x * x) OVER (PARTITION BY doc_id)) AS w FROM x QUALIFY sum(x * x) OVER (PARTITION BY doc_id) > 0)"
 _Q = f", qt AS (SELECT item_id, unnest({_SPLIT.format('text')}) AS word FROM benchmark), qf AS (SELECT item_id, word, count(*) AS c FROM qt GROUP BY ALL), qv AS (SELECT item_id AS query_id, word AS word_id, c / sqrt(sum(c * c) OVER (PARTITION BY item_id)) AS qw FROM qf), sc AS (SELECT query_id, doc_id, sum(qw * w) AS score FROM qv JOIN vec USING (word_id) GROUP BY ALL)"
 _TOP10 = ", top AS (SELECT query_id, doc_id, round(score, 9) AS score, row_number() OVER (PARTITION BY query_id ORDER BY round(score, 9) DESC, doc_id) AS rank FROM sc QUALIFY rank <= 10)"
@@ -105,12 +117,12 @@ def map_score(spark, d):
 
 @query()
 def expanded_retrieval(spark, d):
-    """Baskets as queries, mixed with their topic words, against all baskets."""
-    t = _tokens(spark, d)
-    q = retrieval.word_vectors(t.filter("doc_id % 100 = 0"), "tf")
-    feats = topic_features_top30(spark, d)
-    docs = retrieval.word_vectors(t.filter("doc_id % 100 <> 0"), "tf")
-    return retrieval.rank(retrieval.cosine_sparse(retrieval.expand_query(q, feats), docs), 10).withColumn("score", F.round("score", 6))
+    """Baskets as queries, mixed with their topic words, against all other baskets."""
+    t, asked = _tokens(spark, d), "doc_id % 20 = 0"
+    q = retrieval.word_vectors(t.filter(asked), "tf")
+    feats = retrieval.topic_features(_likelihood(spark, d, asked), 30)
+    asked, docs = (retrieval.as_lists(x) for x in (retrieval.expand_query(q, feats), retrieval.word_vectors(t, "tf")))
+    return retrieval.search_blocks(settle(asked, "asked"), settle(docs, "docs"), 10).filter("score > 0")
 
 
 # --- clicks -----------------------------------------------------------------------------------------

@@ -77,6 +77,15 @@ def dense_cosine(spark, d):
     return a.join(b, "label").filter("a < b").select("a", "b", F.round(retrieval.cosine_dense(F.col("x"), F.col("y")), 5).alias("score"))
 
 
+@query()
+def dense_topk(spark, d):
+    """The ten nearest of all other embeddings for each query vector; dense_cosine has scores within a label alone."""
+    e = _t(spark, d, "embeddings").select(F.col("vec_id").alias("doc_id"), F.transform("embedding", lambda x: x.cast("double")).alias("x"))
+    norm = F.sqrt(F.aggregate("x", F.lit(0.0), lambda s, x: s + x * x))
+    unit = e.withColumn("norm", norm).select("doc_id", F.sequence(F.lit(0), F.size("x") - 1).alias("words"), F.transform("x", lambda x: F.when(F.col("norm") > 0, x / F.col("norm")).otherwise(0.0)).alias("w"))
+    return retrieval.search_blocks(unit.filter("doc_id % 20 = 0"), unit, 10).withColumn("score", F.round("score", 5))
+
+
 @query(DOCTOK + VEC + " SELECT word_id, count(*) AS n, round(max(w), 9) AS max_w FROM vec GROUP BY word_id")
 def postings_stats(spark, d):
     return retrieval.build_postings(_vectors(spark, d)).select("word_id", "n", F.round("max_w", 9).alias("max_w"))

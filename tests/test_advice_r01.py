@@ -48,6 +48,18 @@ def test_expanded_retrieval_asks_each_twentieth_against_all(spark, baskets):
     assert any(r.doc_id % 100 == 0 for r in got) and all(r.query_id != r.doc_id for r in got) and max(r["rank"] for r in got) == 10
 
 
+def test_dense_search_meets_all_rows(spark):
+    rows = spark.read.parquet(f"{FOLDER}/embeddings.parquet").select("vec_id", "embedding").collect()
+    ids, m = [r.vec_id for r in rows], np.array([r.embedding for r in rows], float)
+    m /= np.linalg.norm(m, axis=1, keepdims=True)
+    want = {}
+    for q, x in zip(ids, m, strict=True):
+        if q % 20 == 0:
+            want |= {(q, n + 1): s for n, s in enumerate(sorted((float(x @ y) for i, y in zip(ids, m, strict=True) if i != q), reverse=True)[:10])}
+    got = {(r.query_id, r["rank"]): r.score for r in entry.queries()["dense_topk"](spark, FOLDER).collect()}
+    assert set(got) == set(want) and all(abs(got[k] - want[k]) < 1e-4 for k in want)
+
+
 def test_search_in_many_blocks_equals_one(spark):
     from bigtopics.operators import retrieval
 

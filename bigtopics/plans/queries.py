@@ -447,8 +447,7 @@ def r_best(spark, d):
 
 def _predicted(spark, d, method, **options):
     tz, _, phi, psi, alpha, v = _model(spark, d)
-    test = _tokens(spark, d).filter(uniform("doc_id") < 0.1)
-    q = predict.packed_queries(test, phi, predict.best_prior_topic(phi, psi, alpha, BETA, v))
+    q = predict.packed_queries(_tokens(spark, d), phi, predict.best_prior_topic(phi, psi, alpha, BETA, v))
     totals = [r.n for r in psi.orderBy("topic").collect()]
     return predict.predict(q, totals, [ALPHA] * TOPICS, BETA, v, method=method, **options)
 
@@ -487,6 +486,13 @@ def query_theta(spark, d):
     return counts.doc_topic_prob(theta.filter("doc_id % 10 = 0"), alpha).withColumn("p", F.round("p", 6))
 
 
+@query()
+def query_theta_all(spark, d):
+    """query_theta of every basket; the query with SQL has the ids divisible by 10."""
+    _, theta, _, _, alpha, _ = _model(spark, d)
+    return counts.doc_topic_prob(theta, alpha).withColumn("p", F.round("p", 6))
+
+
 @query(TOK + _RANKED + ", b AS (SELECT unnest([640, 6400, 64000])::BIGINT AS budget) SELECT budget, count(k) AS pinned, round(coalesce(sum(tf), 0) / (SELECT sum(tf) FROM r), 6) AS hit_ratio FROM b LEFT JOIN r ON (k + 1) * 64 <= budget GROUP BY budget")
 def cache_hit_curve(spark, d):
     return predict.cache_curve(_word_tf(spark, d), [640, 6400, 64000])

@@ -251,6 +251,13 @@ def word_set_coverage(spark, d):
     return baselines.coverage(baselines.frequent_word_sets(s, 50), s.filter("doc_id % 10 = 0"))
 
 
+@query()
+def word_set_coverage_all(spark, d):
+    """word_set_coverage of every basket."""
+    s = _brand_sets(spark, d)
+    return baselines.coverage(baselines.frequent_word_sets(s, 50), s)
+
+
 def _settings(spark, d, **more):
     return training.Settings(topics=TOPICS, vocab_size=_vocab_size(_tokens(spark, d)), alpha=ALPHA, beta=BETA, **more)
 

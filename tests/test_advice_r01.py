@@ -73,3 +73,22 @@ def test_search_in_many_blocks_equals_one(spark):
     for i, w, v in rows:
         units[i, w] = v
     assert {(r.query_id, r["rank"]): r.score for r in one if r.score > 0} == pytest.approx(nearest(range(60), {q: units[q] for q in range(20)}, units, 5))
+
+
+@pytest.mark.parametrize("name", ["predict_greedy", "predict_full_scan", "predict_sampling", "predict_trials", "query_theta_all"])
+def test_every_basket_is_predicted(spark, baskets, name):
+    assert {r.doc_id for r in entry.queries()[name](spark, FOLDER).select("doc_id").distinct().collect()} == baskets
+
+
+def test_coverage_of_every_basket(spark):
+    from collections import Counter
+    from itertools import combinations
+
+    from bigtopics.plans.queries_use import _brand_sets
+
+    sets: dict = {}
+    for r in _brand_sets(spark, FOLDER).collect():
+        sets.setdefault(r.doc_id, set()).add(r.word)
+    n = Counter(p for s in sets.values() for p in combinations(sorted(s), 2))
+    got = entry.queries()["word_set_coverage_all"](spark, FOLDER).first()
+    assert (got.queries, got.covered) == (len(sets), sum(any(n[p] >= 50 for p in combinations(sorted(s), 2)) for s in sets.values()))

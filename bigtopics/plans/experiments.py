@@ -18,6 +18,7 @@ from ..sources import corpora
 from ..sources.files import settle
 from . import training
 from .queries import _t, query
+from .queries_use import whole_passages
 
 
 def clean_tokens(spark: SparkSession, d: str, min_tf: int = 5) -> tuple[DataFrame, int]:
@@ -174,8 +175,7 @@ def exp_retrieval_by_topics(spark, d, ks=(8, 32), iterations=3, top=10):
     tokens = settle(prepare.encode(t, vocab), "tokens")
     asked = prepare.encode(prepare.tokenize(_t(spark, d, "benchmark").withColumnRenamed("item_id", "doc_id"), "doc_id", "text"), vocab)
     docs, q = settle(retrieval.word_vectors(tokens), "docs"), settle(retrieval.word_vectors(asked, "tf"), "asked")
-    head = _t(spark, d, "benchmark").select(F.col("item_id").alias("query_id"), F.substring("text", 1, 60).alias("head"))
-    qrels = settle(_t(spark, d, "documents").select("doc_id", "text").join(F.broadcast(head), F.expr("contains(text, head)")).select("query_id", "doc_id", F.lit(1.0).alias("rel")), "qrels")  # a fixed list of passages
+    qrels = settle(whole_passages(_t(spark, d, "benchmark"), _t(spark, d, "documents")), "qrels")
     rows = []
 
     def run(k: int, vectors: DataFrame) -> None:

@@ -92,3 +92,12 @@ def test_coverage_of_every_basket(spark):
     n = Counter(p for s in sets.values() for p in combinations(sorted(s), 2))
     got = entry.queries()["word_set_coverage_all"](spark, FOLDER).first()
     assert (got.queries, got.covered) == (len(sets), sum(any(n[p] >= 50 for p in combinations(sorted(s), 2)) for s in sets.values()))
+
+
+def test_relevance_needs_the_whole_passage(spark):
+    from bigtopics.plans.queries_use import whole_passages
+
+    passage = "the opening of a passage that is much longer than its first sixty characters are, and its end"
+    docs = [(1, "x " + passage.replace(" ", "\n ") + " y"), (2, passage[:70] + " otherwise"), (3, passage), (4, None)]
+    got = whole_passages(spark.createDataFrame([(7, passage + "\n"), (8, "  ")], "item_id bigint, text string"), spark.createDataFrame(docs, "doc_id bigint, text string"))
+    assert sorted((r.query_id, r.doc_id) for r in got.collect()) == [(7, 1), (7, 3)]

@@ -14,6 +14,8 @@ def scratch(spark: SparkSession, name: str) -> str:
     """A new path in the folder all executors share (spark.checkpoint.dir); a local one where that is unset, as in tests."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
+        if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         if not _OWN:
             _OWN.append("file://" + tempfile.mkdtemp(prefix="bigtopics-"))
         root = _OWN[0]

@@ -45,6 +45,14 @@ def assign_words(vocab: DataFrame, shards: int, method: str = "hash", *, head: i
     return vocab.join(table, "word_id", "left").withColumn("word_shard", F.coalesce("placed", hashed)).drop("placed")
 
 
+def check_shard_size(rows: DataFrame, max_bytes: int, *, entry_bytes: int = 8, refuse: bool = True) -> DataFrame:
+    """shard, bytes, fits: bytes of each shard's entries against what a worker may hold; by default a shard beyond it is refused."""
+    sizes = rows.groupBy("shard").agg((F.count(F.lit(1)) * entry_bytes).alias("bytes")).withColumn("fits", F.col("bytes") <= max_bytes)
+    if refuse and (worst := sizes.filter("not fits").orderBy(F.desc("bytes")).first()):
+        raise ValueError(f"shard {worst.shard} takes {worst.bytes} bytes; the limit is {max_bytes}: use more shards")
+    return sizes
+
+
 def ranked_by_tf(vocab: DataFrame, parts: int = 32) -> DataFrame:
     """vocab with its rank (from 0) by descending tf, then id, from range-sorted partitions."""
     # written: bounds are sampled, so two runs of the same plan could cut differently

@@ -132,11 +132,11 @@ def predict(queries: DataFrame, psi: list[float], alpha: list[float], beta: floa
     totals, prior = np.array(psi, float), np.array(alpha, float)
 
     def solve(f: pd.DataFrame) -> pd.DataFrame:
-        docs, at, n = [np.empty(0, np.int64)], [np.empty(0, np.int32)], [np.empty(0)]
+        docs, at, n = [pd.array([], dtype="Int64")], [np.empty(0, np.int32)], [np.empty(0)]
         for doc, best, topics, counts in zip(f["doc_id"], f["best_topic"], f["topics"], f["counts"], strict=True):
             rows = [(np.asarray(t, np.int64), np.asarray(c, float)) for t, c in zip(topics, counts, strict=True)]
             if method == "sampling" or trials > 1:
-                rng = np.random.Generator(np.random.Philox(np.random.SeedSequence([seed, abs(int(doc))])))
+                rng = np.random.Generator(np.random.Philox(np.random.SeedSequence([seed, 1 << 64 if doc is None or doc != doc else int(doc) % (1 << 64)])))
             if method == "sampling":
                 mean = sample_query(rows, totals, prior, beta, vocab_size, rng, **options)
                 found = np.flatnonzero(mean)
@@ -148,10 +148,10 @@ def predict(queries: DataFrame, psi: list[float], alpha: list[float], beta: floa
                     labels.append(ascend(rows, np.asarray(best), totals, prior, beta, vocab_size, pruned=method == "pruned", start=start, **options)[0])
                 found, times = np.unique(np.concatenate(labels), return_counts=True)
                 share = times / trials
-            docs.append(np.full(len(found), doc, np.int64))
+            docs.append(pd.array([None if doc is None or doc != doc else int(doc)] * len(found), dtype="Int64"))
             at.append(found.astype(np.int32))
             n.append(share)
-        return pd.DataFrame({"doc_id": np.concatenate(docs), "topic": np.concatenate(at), "n": np.concatenate(n)})
+        return pd.DataFrame({"doc_id": pd.concat([pd.Series(x) for x in docs], ignore_index=True), "topic": np.concatenate(at), "n": np.concatenate(n)})
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:

@@ -8,6 +8,7 @@ from dataclasses import asdict, dataclass, field
 
 import numpy as np
 import pandas as pd
+from pyspark.accumulators import Accumulator
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -46,11 +47,15 @@ class Settings:
 _TAGGED = "kind int, cfg bigint, doc_id bigint, pos bigint, word_id bigint, z int, topic int, n bigint, doc_shard bigint, word_shard bigint"
 
 
-def _sampler(s: Settings, psi: dict[int, np.ndarray], alpha: np.ndarray, iteration: int, key: tuple[str, ...]):
-    """The function of one block: rows of tokens (kind 0), document counts (1) and word counts (2) in, labelled tokens out."""
+def _sampler(s: Settings, psi: dict[int, np.ndarray], alpha: np.ndarray, iteration: int, key: tuple[str, ...], spent=None):
+    """The function of one block: rows of tokens (kind 0), document counts (1) and word counts (2) in, labelled tokens out.
+
+    spent: an accumulator of the seconds inside it, or None.
+    """
     beta, vocab, kernel, seed = s.beta, s.vocab_size, s.kernel, s.seed
 
     def run(f: pd.DataFrame) -> pd.DataFrame:
+        begun = time.perf_counter()
         t = f[f["kind"] == 0].sort_values(["doc_id", "pos"])
         docs, d_at = np.unique(t["doc_id"].to_numpy(), return_inverse=True)
         words, w_at = np.unique(t["word_id"].to_numpy(), return_inverse=True)
@@ -64,6 +69,8 @@ def _sampler(s: Settings, psi: dict[int, np.ndarray], alpha: np.ndarray, iterati
         b = Block(d_at, w_at, t["z"].to_numpy().astype(int), *tables, psi[cfg].copy())
         u = block_uniforms(seed, iteration, tuple(int(t[k].iloc[0]) for k in key), len(t)) if len(t) else np.empty(0)
         new = KERNELS[kernel](b, alpha, beta, vocab, u)
+        if spent is not None:
+            spent.add(time.perf_counter() - begun)
         return t.assign(z=new.astype("int32"))[["cfg", "doc_id", "pos", "word_id", "z", "doc_shard", "word_shard"]]
 
     return run
@@ -84,6 +91,7 @@ class GridTrainer:
     alpha: list[float] = field(default_factory=list)
     iteration: int = 0
     log: list[dict] = field(default_factory=list)
+    kernel_seconds: Accumulator | None = None  # if set, seconds inside block kernels are added to it
 
     def start(self, tokens: DataFrame) -> GridTrainer:
         s = self.settings
@@ -126,7 +134,7 @@ class GridTrainer:
         blocks = todo.select("cfg", "doc_shard", "word_shard").distinct() if "doc_shard" in key else todo.select("cfg", F.lit(0).cast("bigint").alias("doc_shard"), "word_shard").distinct()
         model = models.join(F.broadcast(blocks), ["cfg", "word_shard"]).select(F.lit(2).alias("kind"), "cfg", none("bigint").alias("doc_id"), none("bigint").alias("pos"), "word_id", none("int").alias("z"), "topic", "n", "doc_shard", "word_shard")
         rows = tokens.select(*names).unionByName(docs.select(*names)).unionByName(model.select(*names))
-        return rows.groupBy(*key).applyInPandas(_sampler(self.settings, psi, np.array(self.alpha), self.iteration, key), _STATE)
+        return rows.groupBy(*key).applyInPandas(_sampler(self.settings, psi, np.array(self.alpha), self.iteration, key, self.kernel_seconds), _STATE)
 
     def step(self) -> None:
         """One iteration over all blocks, then the prior and the merge if they are due."""
@@ -188,12 +196,19 @@ class ReplicatedTrainer:
     state: DataFrame | None = None
     iteration: int = 0
     log: list[dict] = field(default_factory=list)
+    _first: int = 0  # smallest word id
 
     def start(self, tokens: DataFrame) -> ReplicatedTrainer:
         s = self.settings
         need = 8 * s.vocab_size * s.topics
         if need > self.max_model_bytes:
             raise ModelTooLarge(f"a dense copy of {s.vocab_size} x {s.topics} counts takes {need} bytes; the limit is {self.max_model_bytes}")
+        most = tokens.agg(F.min("word_id").alias("lo"), F.max("word_id").alias("hi")).first()
+        if most.hi is not None and not 0 <= most.lo <= most.hi <= s.vocab_size:
+            raise ValueError(f"word ids must lie in 0..{s.vocab_size}; found {most.lo}..{most.hi}: build a vocabulary first")
+        self._first = 1 if most.hi == s.vocab_size else 0  # ids from 1 are as dense as ids from 0
+        if self._first and most.lo < 1:
+            raise ValueError(f"{s.vocab_size} words cannot have ids 0..{s.vocab_size}")
         z = F.floor(uniform(0, "doc_id", "pos", seed=s.seed) * s.topics).cast("int")
         self.state = settle(tokens.select(F.lit(0).cast("bigint").alias("cfg"), "doc_id", "pos", "word_id", z.alias("z"), doc_shard(s.shards, s.seed).alias("doc_shard"), F.lit(0).cast("bigint").alias("word_shard")), "state")
         return self
@@ -202,7 +217,8 @@ class ReplicatedTrainer:
         s, begun = self.settings, time.time()
         model = np.zeros((s.vocab_size, s.topics), np.int64)
         rows = count_word_topic(self.state).toPandas()  # size checked in start()
-        model[rows["word_id"].to_numpy() % s.vocab_size, rows["topic"].to_numpy()] = rows["n"].to_numpy()
+        first = self._first
+        model[rows["word_id"].to_numpy() - first, rows["topic"].to_numpy()] = rows["n"].to_numpy()
         shared, it, alpha = self.spark.sparkContext.broadcast(model), self.iteration, np.full(s.topics, s.alpha)
         beta, vocab, kernel, seed, topics = s.beta, s.vocab_size, s.kernel, s.seed, s.topics
 
@@ -212,7 +228,7 @@ class ReplicatedTrainer:
             z = t["z"].to_numpy().astype(int)
             theta = np.bincount(d_at * topics + z, minlength=len(docs) * topics).reshape(-1, topics).astype(float)
             phi = shared.value.astype(float)
-            b = Block(d_at, t["word_id"].to_numpy() % vocab, z, theta, phi, phi.sum(0))
+            b = Block(d_at, t["word_id"].to_numpy() - first, z, theta, phi, phi.sum(0))
             return t.assign(z=KERNELS[kernel](b, alpha, beta, vocab, block_uniforms(seed, it, (int(t["doc_shard"].iloc[0]),), len(t))).astype("int32"))
 
         self.state = settle(self.state.groupBy("doc_shard").applyInPandas(run, self.state.schema), "state")

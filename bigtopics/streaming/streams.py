@@ -63,3 +63,14 @@ def predict_stream(queries: DataFrame, predict: Callable[[DataFrame], DataFrame]
 
     queries.writeStream.foreachBatch(put).option("checkpointLocation", log).trigger(availableNow=True).start().awaitTermination()
     return spark.read.parquet(out).drop("batch")
+
+
+def updated(stream: DataFrame, name: str) -> DataFrame:
+    """All rows a stream of aggregates emits in update mode, with the number of their micro-batch; the last of a key is its value."""
+    out, log = scratch(stream.sparkSession, name), scratch(stream.sparkSession, name + "-log")
+
+    def put(batch: DataFrame, n: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/batch={n}")
+
+    stream.writeStream.outputMode("update").foreachBatch(put).option("checkpointLocation", log).trigger(availableNow=True).start().awaitTermination()
+    return stream.sparkSession.read.parquet(out)

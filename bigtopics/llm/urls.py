@@ -1,7 +1,8 @@
 """URL filter: rules on host and path first, then logistic regression on hashed character n-grams.
 
 The model is trained on the driver from a small labelled URL table (given, or
-the built-in one of 3,000 rows made from two word lists), and its
+the built-in one of 5,000 rows made from word lists, with
+wanted words that hold an unwanted one by chance), and its
 weights, 2**bits floats, go to the tasks; neither grows with the data.
 
 Defined cases: a null url, or one without "://", has empty host and path, no
@@ -24,24 +25,31 @@ from pyspark.sql import functions as F
 # The rules of the query.
 RULES = (("block", "net/"), ("allow", "example.net/en/"), ("block", "example.com/de/"), ("allow", "org/fr/"))
 # Words of unwanted and of wanted hosts and paths.
-UNWANTED = "casino poker jackpot slots betting pills viagra pharma cheap replica spam farm ads track banner popup adult porn sex escort loan payday crypto win prize lottery torrent warez crack keygen clickbait bonus miracle weightloss bet bets free cash vip xxx dating hookup spy hack".split()
-WANTED = "news library museum school university science health garden travel music film sport weather history market city council forum recipes books garage bakery journal archive review studio research family photo design nature village kitchen".split()
+UNWANTED = "casino casinos poker jackpot slots roulette blackjack betting gambling bookmaker wager bingo pills viagra cialis pharma steroids cheap replica counterfeit fakeid spam farm ads track banner popup clickbait adult porn porno sex sexy xxx nude naked erotic hentai camgirls milf escort escorts hookup dating loan loans payday crypto forex win winner prize lottery giveaway sweepstakes torrent warez crack cracked keygen serialkey malware phishing keylogger botnet ransom spy hack hacks bonus miracle weightloss bet bets free cash vip".split()
+WANTED = "news library museum school university college science health garden travel music film sport weather history market city council gov parish forum recipes books garage bakery journal archive review studio research family photo design nature village kitchen hospital clinic therapist bank insurance energy water rail airport hotel restaurant cafe theatre cinema gallery orchestra choir football cricket rugby tennis golf cycling hiking blog wiki docs developer software hardware physics chemistry biology maths economics law justice police fire charity trust foundation union shop homes school maps jobs download help support learn".split()
+# Wanted words that hold an unwanted one by chance.
+INNOCENT = "sussex essex middlesex wessex sextant sexton unisex cashmere cashew cashier better alphabet bethany betony elizabeth diabetes tibet analysis therapist specialist socialist pharmacy pharmacology window winter winchester wine twins darwin freedom freezer freeway carefree update updating validating loaned farmers farmhouse adsorption uploads downloads roads heads spying spyglass hackney shack whack scunthorpe cocktail classic assassin titanic bonusround alphabetical besets sherbet gibbet barbeque cryptography encrypt tracks soundtrack racetrack bannerman embankment banner".split()
+# Endings of public bodies' hosts.
+PUBLIC = "gov.uk ac.uk edu gov org.uk museum nhs.uk edu.au gouv.fr gob.es bund.de police.uk".split()
 _ALPHABET = "etaoinshrdlucmfwypvbgk"
 
 
-def labelled_urls(seed: int = 7, rows: int = 1500) -> list[tuple[str, int]]:
-    """The built-in table: (url, 1 if unwanted)."""
+def labelled_urls(seed: int = 7, rows: int = 2500) -> list[tuple[str, int]]:
+    """The built-in table, made from the word lists by a rule: (url, 1 if unwanted)."""
     r = random.Random(seed)
-    tail = lambda: r.choice(("com", "net", "org", "info", "example.com", "example.org", "example.net"))
+    tail = lambda: r.choice(("com", "net", "org", "info", "example.com", "example.org", "example.net", "co.uk", "de", "fr", "net.co"))
     front = lambda: r.choice(("", "", "www.", "blog.", "m."))
-    path = lambda: r.choice(("", "/", f"/en/{r.randrange(999)}", f"/de/{r.randrange(999)}/", f"/fr/{r.randrange(999)}.html", f"/es/{r.randrange(999)}", f"/{r.choice(WANTED)}/{r.randrange(99)}"))
+    path = lambda: r.choice(("", "/", f"/en/{r.randrange(999)}", f"/de/{r.randrange(999)}/", f"/fr/{r.randrange(999)}.html", f"/es/{r.randrange(999)}", f"/{r.choice(WANTED)}/{r.randrange(99)}", f"/{r.choice(INNOCENT)}"))
     made = lambda: "".join(r.choice(_ALPHABET) for _ in range(r.randrange(4, 10)))
+    calm = lambda: r.choice((*WANTED, *INNOCENT))
     out = []
-    for k in range(rows):
-        bad = r.choice(UNWANTED) + r.choice(("", "-", "")) + r.choice((r.choice(UNWANTED), r.choice(WANTED), str(r.randrange(99))))
+    for _ in range(rows):
+        bad = r.choice(UNWANTED) + r.choice(("", "-", "")) + r.choice((r.choice(UNWANTED), r.choice(UNWANTED), calm(), made(), str(r.randrange(99)), ""))
+        bad = r.choice((bad, bad, bad, f"{calm()}-{r.choice(UNWANTED)}"))
         out.append((f"http://{front()}{bad}.{tail()}{path()}", 1))
-        good = r.choice((made(), made(), r.choice(WANTED), f"{r.choice(WANTED)}-{made()}", f"{made()}{r.choice(WANTED)}"))
-        out.append((f"https://{front()}{good}.{tail()}{path()}", 0))
+        good = r.choice((made(), made(), calm(), calm(), f"{calm()}-{made()}", f"{made()}{calm()}", f"{calm()}-{calm()}", f"{calm()}{calm()}"))
+        end = r.choice((tail(), tail(), r.choice(PUBLIC)))
+        out.append((f"https://{front()}{good}.{end}{path()}", 0))
     return out
 
 
@@ -55,10 +63,10 @@ def split_url(url: str | None) -> tuple[str, str]:
 
 
 def buckets_of(host: str, path: str, bits: int) -> list[int]:
-    """Hashed n-grams of 3 to 5 characters; host and path are told apart."""
+    """Hashed n-grams of 3 to 6 characters; host and path are told apart."""
     out = set()
     for mark, s in (("h", f"^{host}$"), ("p", f"^{path}$")):
-        for n in (3, 4, 5):
+        for n in (3, 4, 5, 6):
             for i in range(len(s) - n + 1):
                 out.add(zlib.crc32(f"{mark}{s[i : i + n]}".encode("utf-8", "surrogatepass")) & ((1 << bits) - 1))
     return sorted(out)

@@ -2,7 +2,9 @@
 
 Every document gets two histograms: character classes and common words of its
 language.  References are the mean histograms of each language over the whole
-corpus.  A document with enough words is rejected if the Jensen-Shannon
+corpus, fitted twice: over all documents with enough words, and again over those
+of them that pass by the first, so junk does not shape what it is held against.
+A document with enough words is rejected if the Jensen-Shannon
 distance of either histogram to its language's reference is too large; shorter
 ones are judged by the base rule alone (which by default rejects them).
 
@@ -29,10 +31,6 @@ COMMON = {
     "de": ("der", "die", "und", "in", "den", "von", "zu", "das", "mit", "sich", "des", "auf", "für", "ist", "im", "dem"),
     "es": ("de", "la", "que", "el", "en", "y", "a", "los", "se", "del", "las", "un", "por", "con", "no", "una"),
 }
-#: At most so many languages have a reference of their own; it bounds what is broadcast.
-MAX_LANGUAGES = 1024
-
-
 N_COMMON = 16
 #: The limit for common words is where a document has this part of its language's share of them.
 COMMON_PART = 0.05
@@ -87,7 +85,7 @@ def _repeated_at(df: DataFrame) -> DataFrame:
 def measure(docs: DataFrame, *, text_col: str = "text", lang_col: str = "lang", keep: list[Column]) -> DataFrame:
     """keep and all measures that need the document alone; each column is computed only if it is used."""
     df = _histograms(docs, text_col, lang_col, keep)
-    names = [c for c in df.columns if not c.startswith("__bt_") or c == "__bt_id"]
+    names = [c for c in df.columns if not c.startswith("__bt_") or c == "__bt_id" or c.startswith("__bt_own_")]
     lines = F.filter(F.split("__bt_text", "\n", -1), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
     df = _repeated_at(df.select("*", lines.alias("__bt_lines")))
     covered = F.aggregate(F.sequence(F.lit(1), F.size("__bt_at")), F.lit(0), lambda s, k: s + F.coalesce(F.least(F.lit(3), F.get(F.col("__bt_at"), k) - F.get(F.col("__bt_at"), k - 1)), F.lit(3)))
@@ -97,18 +95,13 @@ def measure(docs: DataFrame, *, text_col: str = "text", lang_col: str = "lang",
     )
 
 
-def _where(df: DataFrame, condition: Column) -> DataFrame:
-    """Filter that stays above the measures: pushed below, it would compute them once more for each use of a name."""
-    return df.withColumn("__bt_fence", F.monotonically_increasing_id()).filter(condition & (F.col("__bt_fence") >= 0)).drop("__bt_fence")
-
-
 def fit_references(measured: DataFrame, *, min_words: int = 50, min_docs: int = 30) -> DataFrame:
     """Mean histograms of each language and of all documents (null language), over every document of min_words or more.
 
-    Languages of fewer than min_docs documents have no row.  At most MAX_LANGUAGES + 1 rows.
+    Languages of fewer than min_docs documents have no row.
     """
     parts = [F.get("__bt_chars", F.lit(i)).alias(f"c{i}") for i in range(6)] + [F.get("__bt_common", F.lit(i)).alias(f"w{i}") for i in range(N_COMMON + 1)]
-    flat = _where(measured, F.col("__bt_n_words") >= min_words).select("__bt_lang", *parts)
+    flat = measured.filter(F.col("__bt_n_words") >= min_words).select("__bt_lang", *parts)
     names = flat.columns[1:]
     sums = flat.groupBy("__bt_lang").agg(F.count(F.lit(1)).alias("__bt_n"), *(F.sum(c).alias(c) for c in names))
 
@@ -119,7 +112,7 @@ def fit_references(measured: DataFrame, *, min_words: int = 50, min_docs: int =
         few = F.transform("__bt_ref_common", lambda x, i: F.when(i < N_COMMON, x * COMMON_PART).otherwise(1 - share * COMMON_PART))
         return out.select("*", share.alias("__bt_ref_share"), js_distance(few, F.col("__bt_ref_common")).alias("__bt_ref_limit"))
 
-    own = sums.filter((F.col("__bt_n") >= min_docs) & F.col("__bt_lang").isNotNull()).orderBy(F.desc("__bt_n"), "__bt_lang").limit(MAX_LANGUAGES)
+    own = sums.filter((F.col("__bt_n") >= min_docs) & F.col("__bt_lang").isNotNull())
     whole = sums.agg(F.sum("__bt_n").alias("__bt_n"), *(F.sum(c).alias(c) for c in names)).filter("__bt_n > 0")
     return pack(own, F.col("__bt_lang")).unionByName(pack(whole, F.lit(None).cast("string")))
 
@@ -136,8 +129,10 @@ def verdicts(measured: DataFrame, references: DataFrame, *, min_words: int = 50,
 
     The common-word limit is that of the language's reference, or max_js_common where that is less or the language has no list or reference of its own.
     """
-    own = F.broadcast(references.filter("__bt_lang is not null"))
-    whole = F.broadcast(references.filter("__bt_lang is null").select(F.col("__bt_ref_chars").alias("__bt_all_chars"), F.col("__bt_ref_common").alias("__bt_all_common"), F.lit(1).alias("__bt_one")))
+    # no hint: Spark broadcasts the languages' rows while their written table is below its threshold, and shuffles beyond it
+    own = references.filter("__bt_lang is not null")
+    whole = F.broadcast(  # one row
+        references.filter("__bt_lang is null").select(F.col("__bt_ref_chars").alias("__bt_all_chars"), F.col("__bt_ref_common").alias("__bt_all_common"), F.lit(1).alias("__bt_one")))
     df = measured.withColumn("__bt_one", F.lit(1)).join(own, "__bt_lang", "left").join(whole, "__bt_one", "left")
     distance = lambda a, own_ref, all_ref: F.coalesce(js_distance(F.col(a), F.coalesce(own_ref, all_ref)), F.lit(0.0))
     df = df.select("*", distance("__bt_chars", "__bt_ref_chars", "__bt_all_chars").alias("__bt_js_chars"), distance("__bt_common", "__bt_ref_common", "__bt_all_common").alias("__bt_js_common"))
@@ -148,17 +143,21 @@ def verdicts(measured: DataFrame, references: DataFrame, *, min_words: int = 50,
     return df.select("*", failed.alias("__bt_base_failed"), (~failed & passes).alias("__bt_kept"))
 
 
+def fitted_verdicts(measured: DataFrame, **limits) -> DataFrame:
+    """verdicts of measured (a written table) by references fitted twice."""
+    first = verdicts(measured, settle(fit_references(measured), "references"), **limits)
+    return verdicts(measured, settle(fit_references(first.filter("__bt_kept")), "references"), **limits)
+
+
 def quality_report(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", **limits) -> DataFrame:
     """One row per input row with all measures and the verdict ``kept``."""
-    measured = settle(measure(docs, text_col=text_col, lang_col=lang_col, keep=[F.col(id_col).alias("__bt_id")]), "quality")
-    out = verdicts(measured, fit_references(measured), **limits)
-    shown = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "js_chars", "js_common")
-    return out.select(F.col("__bt_id").alias(id_col), *(F.col(f"__bt_{c}").alias(c) for c in shown))
+    out = fitted_verdicts(settle(measure(docs, text_col=text_col, lang_col=lang_col, keep=[F.col(id_col).alias("__bt_id")]), "quality"), **limits)
+    shown = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+    return out.select(F.col("__bt_id").alias(id_col), *(F.col(f"__bt_{c}").alias(c) for c in shown), *(F.round(f"__bt_{c}", 9).alias(c) for c in ("js_chars", "js_common")))
 
 
 def keep_good(docs: DataFrame, *, text_col: str = "text", lang_col: str = "lang", **limits) -> DataFrame:
-    """The rows that pass, with their columns as they were.  Texts are read twice (references, verdicts) and never shuffled."""
-    how = {"text_col": text_col, "lang_col": lang_col}
-    references = settle(fit_references(measure(docs, **how, keep=[])), "references")
-    judged = verdicts(measure(docs, **how, keep=[F.col(c) for c in docs.columns]), references, **limits)
-    return _where(judged, F.col("__bt_kept")).select(*docs.columns)
+    """The rows that pass, with their columns as they were.  Texts are measured once, written beside their measures, and never shuffled."""
+    own = {c: f"__bt_own_{k}" for k, c in enumerate(docs.columns)}
+    measured = settle(measure(docs, text_col=text_col, lang_col=lang_col, keep=[F.col(c).alias(n) for c, n in own.items()]), "quality")
+    return fitted_verdicts(measured, **limits).filter("__bt_kept").select(*(F.col(n).alias(c) for c, n in own.items()))

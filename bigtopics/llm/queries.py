@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
+from . import oracles
 from .common import table
 from .html import extract_main_text
 from .line_dedup import line_report
@@ -70,4 +71,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op1_secret_ownership": oracles.secrets_sql(), "op2_quality_divergence": oracles.quality_sql(), "op6_mix_curriculum": oracles.mix_sql(), "op9_merkle_fingerprints": oracles.merkle_sql()}

@@ -19,10 +19,14 @@ is equal in both sets, or differs in one element.
 Signatures travel as packed blocks, one for each bucket of the signature space.
 Exact copies share a class (hash of the set) and are represented once.
 Candidates sharing a signature form groups.  A first pass verifies each member
-against one other only; links join members into components, and a second pass
-looks at pairs in different components alone, in tiles of bounded size.  There a
-parity bitmap of each set bounds the difference from below, so most pairs go
-without their sets; the rest are verified exactly on whole sets.
+against one hub, mostly the same in groups that overlap, so rows grow with the
+members; links join members into components.  Pairs of different components are
+then looked at in tiles of bounded size, where a parity bitmap of each set bounds
+the difference from below.  A second pass verifies a forest of the pairs that are
+near enough by it.  The third verifies what is left: as rows where a member has
+few possible partners, else in tiles of bounded bytes where whole sets meet, all
+pairs are verified and only links that join components come out.  So no pass has
+a row for each pair of a group.
 
 Sets are compared by 64-bit hashes of shingles and classes by 64-bit hashes of
 sets; for D different texts the chance of any false class is D^2 / 2^65.
@@ -43,13 +47,17 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..operators.graph import components
 from .bloom import Bloom, build
 from .common import give_back, key_of, settle
-from .graph import components
 
 NUM, DEN = 4, 5
 SMALL = 32  # bands up to this size also index one-deletion neighbourhoods
 SKETCH = 16  # 64-bit words of the parity bitmap
+ALL_PAIRS = 5  # up to so many members a group's pairs are all verified at once; a larger one has a hub first
+PARTNERS = 16  # up to so many possible partners a member's pairs are rows; those of others are tested in tiles
+TILE = 1024  # members of a tile whose bitmaps meet
+TILE_ITEMS = 1 << 19  # elements of a tile whose sets meet
 _M1, _M2, _M3 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 _BYTES_AT_ONCE = 8 << 20
 
@@ -267,7 +275,7 @@ _FOUND = pa.schema([("kind", pa.int32()), ("a", pa.int64()), ("b", pa.int64()),
 
 
 def _runs(sig: np.ndarray, cls: np.ndarray, size: np.ndarray, probe: np.ndarray) -> tuple[list, list]:
-    """Pairs of runs of two classes, and star pairs and members of larger runs."""
+    """Pairs of runs of two classes, and pairs with hubs and members of larger runs."""
     order = np.lexsort((cls, sig))
     sig, cls, size, probe = sig[order], cls[order], size[order], probe[order]
     first = np.ones(len(sig), bool)
@@ -291,14 +299,21 @@ def _runs(sig: np.ndarray, cls: np.ndarray, size: np.ndarray, probe: np.ndarray)
     members, known = [], set()
     for a, n in zip(begin[length > 2].tolist(), length[length > 2].tolist(), strict=True):
         own = np.arange(a, a + n)
-        key = hash(cls[own].tobytes())
+        key = hash(cls[own].tobytes()) if n > ALL_PAIRS else None
         if key in known or not probe[own].any():
             continue
-        known.add(key)
-        hub = np.full(n, a + int(np.argsort(size[own], kind="stable")[n // 2]))
+        if key is not None:
+            known.add(key)
+        if n <= ALL_PAIRS:
+            i, j = np.triu_indices(n, 1)
+            ok = fits(own[i], own[j])
+            pairs.append((cls[own[i[ok]]], cls[own[j[ok]]]))
+            continue
+        # the smallest by a hash of the class: groups that overlap mostly have one hub and ask for the same pairs
+        hub = a + int(np.argmin(mix(cls[own].view(np.uint64))))
         x, y = np.minimum(size[own], size[hub]), np.maximum(size[own], size[hub])
         near = (own != hub) & (y * NUM <= x * DEN)
-        pairs.append((cls[own[near]], cls[hub[near]]))
+        pairs.append((cls[own[near]], np.full(int(near.sum()), cls[hub])))
         members.append((class_of(cls[own].view(np.uint64)), cls[own], size[own]))
     return pairs, members
 
@@ -367,35 +382,153 @@ def verify(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(test, "a long, b long")
 
 
-def apart_pairs(groups: DataFrame, labels: DataFrame, sketches: DataFrame, tile: int = 1024) -> DataFrame:
-    """Pairs of a group that are in different components and whose bitmaps differ in few enough bits.
+def tiles(members: DataFrame, limit: int) -> DataFrame:
+    """grp, i, j, t and the other columns of members (grp, cls, label, weight, ...): a copy for each pair of tiles (i, j) to compare; t is the member's own.
 
-    A group is cut into tiles of about ``tile`` members; each pair of tiles is one task's work.
+    In a group, members of its largest component and the rest are dealt to tiles
+    of about ``limit`` weight each.  Tiles below 0 are of the largest component; they
+    meet those of the rest alone, so copies grow with the group times its rest.
+    Groups of one component are left out.
+    """
+    per = members.groupBy("grp", "label").agg(F.sum("weight").alias("w"))
+    groups = per.groupBy("grp").agg(F.max(F.struct("w", "label")).alias("most"), F.sum("w").alias("all"))
+    many = lambda w: F.ceil(w / F.lit(float(limit))).cast("int")
+    groups = groups.filter("all > most.w").select("grp", F.col("most.label").alias("main"), many(F.col("most.w")).alias("mains"), many(F.col("all") - F.col("most.w")).alias("rests"))
+    # written, so that a large group is a hot join key whose side can be split
+    own = members.join(settle(groups, "open"), "grp")
+    deal = F.xxhash64("cls")
+    own = own.withColumn("t", F.when(F.col("label") == F.col("main"), -1 - F.pmod(deal, F.col("mains"))).otherwise(F.pmod(deal, F.col("rests"))).cast("int"))
+    others = F.sequence(F.when(F.col("t") < 0, 0).otherwise(-F.col("mains")), F.col("rests") - 1)
+    rest = [c for c in members.columns if c not in ("grp", "weight")]
+    return own.withColumn("u", F.explode(others)).select("grp", F.least("t", "u").alias("i"), F.greatest("t", "u").alias("j"), "t", *rest)
+
+
+def sides(t: np.ndarray, i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Rows of the two tiles that meet; both are the same for a tile and itself."""
+    return np.flatnonzero(t == i[0]), np.flatnonzero(t == j[0])
+
+
+def _near_bits(table: pa.Table) -> Iterator[tuple[int, np.ndarray]]:
+    """Of each row of the first tile, the rows of the second that are in another component and whose bitmap is near enough."""
+    t, i, j, label, size = (np.asarray(table.column(c)) for c in ("t", "i", "j", "label", "size"))
+    bits = np.frombuffer(b"".join(table.column("sketch").to_pylist()), np.uint64).reshape(len(t), -1)
+    ours, theirs = sides(t, i, j)
+    for x in ours.tolist():
+        y = theirs[label[theirs] != label[x]]
+        lo, hi = np.minimum(size[y], size[x]), np.maximum(size[y], size[x])
+        y = y[hi * NUM <= lo * DEN]
+        far = np.bitwise_count(bits[y] ^ bits[x]).sum(1)
+        y = y[far * (DEN + NUM) <= (size[y] + size[x]) * (DEN - NUM)]
+        if len(y):
+            yield x, y
+
+
+def likely_links(members: DataFrame) -> DataFrame:
+    """a, b: in each pair of tiles, a forest of pairs whose bitmaps are near enough: at most one row less than members."""
+
+    def compare(table: pa.Table) -> pa.Table:
+        cls, root, out = np.asarray(table.column("cls")), np.asarray(table.column("label")).copy(), []
+        for x, y in _near_bits(table):
+            for k in y[np.argsort(cls[y], kind="stable")].tolist():
+                if root[k] != root[x]:
+                    out.append((min(cls[x], cls[k]), max(cls[x], cls[k])))
+                    root[root == root[k]] = root[x]
+        return pa.table({"a": pa.array([int(p) for p, _ in out], pa.int64()), "b": pa.array([int(q) for _, q in out], pa.int64())})
+
+    return tiles(members, TILE).groupBy("grp", "i", "j").applyInArrow(compare, "a long, b long").distinct()
+
+
+def open_pairs(members: DataFrame, most: int = PARTNERS) -> tuple[DataFrame, DataFrame]:
+    """(a, b) and (grp, cls, label, size) of what may still link: each pair of which one side has at most ``most`` partners by its bitmap, and the members with more.
+
+    Of groups with the same such members one stays.
     """
-    named = groups.join(labels.toDF("cls", "label"), "cls", "left").withColumn("label", F.coalesce("label", "cls"))
-    open_ = named.groupBy("grp").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.count(F.lit(1)).alias("n")).filter("lo <> hi").select("grp", F.ceil(F.col("n") / tile).cast("int").alias("tiles"))
-    live = settle(named.join(settle(open_, "open"), "grp"), "apart").join(sketches, "cls")
-    own = live.withColumn("t", F.pmod(F.xxhash64("cls"), F.col("tiles")).cast("int"))
-    spread = own.withColumn("u", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))).select("grp", F.least("t", "u").alias("i"), F.greatest("t", "u").alias("j"), "t", "cls", "label", "size", "sketch")
-
-    def cross(table: pa.Table) -> pa.Table:
-        t, i, j = (np.asarray(table.column(c)) for c in "tij")
-        cls, label, size = (np.asarray(table.column(c)) for c in ("cls", "label", "size"))
-        bits = np.frombuffer(b"".join(table.column("sketch").to_pylist()), np.uint64).reshape(len(t), -1)
-        out_a, out_b = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
-        ours, theirs = np.flatnonzero(t == i), np.flatnonzero(t == j)
-        for x in ours.tolist():
-            y = theirs[(label[theirs] != label[x]) & (cls[theirs] > cls[x] if i[0] == j[0] else True)]
-            lo, hi = np.minimum(size[y], size[x]), np.maximum(size[y], size[x])
-            y = y[hi * NUM <= lo * DEN]
-            far = np.bitwise_count(bits[y] ^ bits[x]).sum(1)
-            y = y[far * (DEN + NUM) <= (size[y] + size[x]) * (DEN - NUM)]
-            out_a.append(np.full(len(y), cls[x]))
-            out_b.append(cls[y])
-        a, b = np.concatenate(out_a), np.concatenate(out_b)
-        return pa.table({"a": pa.array(np.minimum(a, b), pa.int64()), "b": pa.array(np.maximum(a, b), pa.int64())})
-
-    return spread.groupBy("grp", "i", "j").applyInArrow(cross, "a long, b long").distinct()
+    schema = pa.schema([("pair", pa.bool_()), ("grp", pa.int64()), ("a", pa.int64()), ("b", pa.int64()), ("size", pa.int64())])
+
+    def compare(table: pa.Table) -> pa.Table:
+        cls, label, size, grp = (np.asarray(table.column(c)) for c in ("cls", "label", "size", "grp"))
+        many, few, found = np.zeros(len(cls), np.int64), [], []
+        for x, y in _near_bits(table):
+            many[x] += len(y)
+            many[y] += 1
+            found.append((x, y))
+        for x, y in found:
+            y = y if many[x] <= most else y[many[y] <= most]
+            few += [(min(cls[x], cls[k]), max(cls[x], cls[k])) for k in y.tolist()]
+        two = np.unique(np.array(few, np.int64).reshape(-1, 2), axis=0)
+        rest = np.flatnonzero(many > most)
+        kind = np.repeat([True, False], [len(two), len(rest)])
+        columns = (kind, np.full(len(kind), grp[0]), np.concatenate([two[:, 0], cls[rest]]), np.concatenate([two[:, 1], label[rest]]), np.concatenate([np.zeros(len(two), np.int64), size[rest]]))
+        return pa.Table.from_arrays([pa.array(c, f.type) for c, f in zip(columns, schema, strict=True)], schema=schema)
+
+    found = settle(tiles(members, TILE).groupBy("grp", "i", "j").applyInArrow(compare, "pair boolean, grp long, a long, b long, size long"), "open")
+    rest = found.filter("not pair").select("grp", F.col("a").alias("cls"), F.col("b").alias("label"), "size").distinct()
+    mark = F.xxhash64("cls")
+    same = rest.groupBy("grp").agg(F.count(F.lit(1)).alias("n"), F.bit_xor(mark).alias("x"), F.sum(mark.cast("decimal(20,0)")).alias("s"))
+    one = same.groupBy("n", "x", "s").agg(F.min("grp").alias("grp")).select("grp")
+    return found.filter("pair").select("a", "b").distinct(), rest.join(one, "grp")
+
+
+def shared_counts(x: list[np.ndarray], y: list[np.ndarray], columns: int = 4096) -> np.ndarray:
+    """How many elements each set of x has in common with each of y: products of 0/1 matrices over the elements that both sides have."""
+    ends = [np.repeat(np.arange(len(z)), [len(s) for s in z]) for z in (x, y)]
+    values = [np.concatenate(z) if z else np.empty(0, np.uint64) for z in (x, y)]
+    both = np.intersect1d(*values)
+    out = np.zeros((len(x), len(y)), np.float32)
+    at = [np.searchsorted(both, v) for v in values]
+    kept = [(p < len(both)) & (both[np.minimum(p, len(both) - 1)] == v) if len(both) else np.zeros(len(v), bool) for p, v in zip(at, values, strict=True)]
+    for a in range(0, len(both), columns):
+        m = []
+        for side, n in ((0, len(x)), (1, len(y))):
+            here = kept[side] & (at[side] >= a) & (at[side] < a + columns)
+            m.append(np.zeros((n, min(columns, len(both) - a)), np.float32))
+            m[side][ends[side][here], at[side][here] - a] = 1
+        out += m[0] @ m[1].T
+    return out.astype(np.int64)
+
+
+def joining_links(members: DataFrame, sets: DataFrame, limit: int = TILE_ITEMS) -> DataFrame:
+    """a, b: labels of components that a link joins, at most one row less than a tile has members; every pair of members in different components is verified on whole sets."""
+
+    def verify_all(table: pa.Table) -> pa.Table:
+        t, i, j, label = (np.asarray(table.column(c)) for c in ("t", "i", "j", "label"))
+        items = [np.frombuffer(x, "<u8") for x in table.column("items").to_pylist()]
+        size = np.array([len(x) for x in items])
+        ours, theirs = sides(t, i, j)
+        both = shared_counts([items[k] for k in ours], [items[k] for k in theirs])
+        links = both * DEN >= (size[ours][:, None] + size[theirs][None, :] - both) * NUM
+        root, out = label.copy(), []
+        for r, x in enumerate(ours.tolist()):
+            for y in theirs[links[r]].tolist():
+                if root[y] != root[x]:
+                    out.append((int(label[x]), int(label[y])))
+                    root[root == root[y]] = root[x]
+        return pa.table({"a": pa.array([p for p, _ in out], pa.int64()), "b": pa.array([q for _, q in out], pa.int64())})
+
+    spread = tiles(members.withColumn("weight", F.col("size") + 512), limit)
+    return spread.join(sets, "cls").groupBy("grp", "i", "j").applyInArrow(verify_all, "a long, b long")
+
+
+def _labelled(members: DataFrame, labels: DataFrame) -> DataFrame:
+    """members with the label of their component (a class without a link is its own) and weight 1."""
+    return members.join(labels.toDF("cls", "label"), "cls", "left").withColumn("label", F.coalesce("label", "cls")).withColumn("weight", F.lit(1))
+
+
+def _by_label(links: DataFrame, members: DataFrame) -> DataFrame:
+    """links between classes as links between the labels of their components."""
+    of = members.select("cls", "label").distinct()
+    return links.join(of.toDF("a", "p"), "a").join(of.toDF("b", "q"), "b").select(F.col("p").alias("a"), F.col("q").alias("b"))
+
+
+def _merged(labels: DataFrame, links: DataFrame) -> DataFrame:
+    """labels (node, label) after their components are joined by links between labels."""
+    links = settle(links, "links")
+    if links.isEmpty():
+        return labels
+    joined = components(links).toDF("label", "to")
+    # labels of classes without a link are the classes themselves
+    alone = joined.select(F.col("label").alias("node"), "label").join(labels.select("node"), "node", "left_anti")
+    return settle(labels.unionByName(alone).join(joined, "label", "left").select("node", F.coalesce("to", "label").alias("label")), "labels")
 
 
 # --- the operator -----------------------------------------------------------------------------------
@@ -437,10 +570,17 @@ def join_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     sets = settle(class_sets(texts, build(wanted, "cls", bloom_bits), k), "sets")
     links = settle(verify(pairs, sets), "links")
     labels = components(links)
-    apart = settle(apart_pairs(groups, labels, sketches).join(pairs, ["a", "b"], "left_anti"), "apart-pairs")
-    if not apart.isEmpty():
-        links = links.union(settle(verify(apart, sets), "links"))
-        labels = components(links)
+    members = settle(_labelled(groups, labels).join(sketches, "cls"), "members")
+    likely = settle(likely_links(members).join(pairs, ["a", "b"], "left_anti"), "likely")
+    links = settle(verify(likely, sets), "links")
+    labels = _merged(labels, _by_label(links, members))
+    members = settle(_labelled(members.drop("label", "weight"), labels), "members")
+    two, rest = open_pairs(members)
+    links = settle(verify(two.join(pairs, ["a", "b"], "left_anti").join(likely, ["a", "b"], "left_anti"), sets), "links")
+    labels = _merged(labels, _by_label(links, members))
+    rest = settle(_labelled(rest.drop("label"), labels), "rest")
+    if not rest.isEmpty():
+        labels = _merged(labels, joining_links(rest, sets))
     named = known.join(labels.toDF("cls", "label"), "cls", "left").withColumn("label", F.coalesce("label", "cls"))
     least = settle(named.filter("label is not null").groupBy("label").agg(F.min("id").alias("least")), "least")
     return named.join(least, "label", "left").select("__bt_k1", "__bt_k2", "id", "n_shingles", "cls", F.col("label").alias("component"), F.when(F.col("cls").isNull(), F.col("id")).otherwise(F.col("least")).alias("component_id"))

@@ -6,37 +6,21 @@ expected to have them, so a caller's extra columns never clash.
 
 from __future__ import annotations
 
-import functools
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.files import scratch, settle
+
+__all__ = ["SPACE", "WORD", "fresh_path", "give_back", "key_of", "settle", "table", "text_of", "words_of"]
+
 #: A word is a longest run of anything but ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
 SPACE = r"[\x20\x09-\x0D]+"
 
 
-@functools.lru_cache(maxsize=1)
-def _own_folder() -> str:
-    return "file://" + tempfile.mkdtemp(prefix="bigtopics-")
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder all executors see: spark.checkpoint.dir, or a new local one where that is unset (tests)."""
-    return (spark.conf.get("spark.checkpoint.dir", None) or _own_folder()).rstrip("/")
-
-
 def fresh_path(spark: SparkSession, what: str) -> str:
-    return f"{shared_folder(spark)}/{what}-{uuid.uuid4().hex}"
-
-
-def settle(df: DataFrame, what: str) -> DataFrame:
-    """Writes df to the shared folder and reads it back: lineage is cut and a lost executor costs no recomputation."""
-    path = fresh_path(df.sparkSession, what)
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    """A new path in the folder all executors see."""
+    return scratch(spark, what)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

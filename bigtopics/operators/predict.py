@@ -47,8 +47,10 @@ def packed_rows(phi: DataFrame) -> DataFrame:
 
 
 def packed_queries(tokens: DataFrame, phi: DataFrame, r_best: DataFrame) -> DataFrame:
-    """doc_id and, per place, the word's model row and best prior topic."""
-    rows = tokens.join(packed_rows(phi), "word_id").join(r_best.select("word_id", "best_topic"), "word_id")
+    """doc_id and, per place, the word's model row and best prior topic; a word that the model lacks has an empty row and topic -1."""
+    model = packed_rows(phi).join(r_best.select("word_id", "best_topic"), "word_id")
+    rows = tokens.join(model, "word_id", "left").withColumn("best_topic", F.coalesce("best_topic", F.lit(-1)))
+    rows = rows.withColumn("topics", F.coalesce("topics", F.array().cast(model.schema["topics"].dataType))).withColumn("counts", F.coalesce("counts", F.array().cast(model.schema["counts"].dataType)))
     q = rows.groupBy("doc_id").agg(F.array_sort(F.collect_list(F.struct("pos", "word_id", "best_topic", "topics", "counts"))).alias("q"))
     return q.select("doc_id", *(F.col("q")[c].alias(c) for c in ("pos", "word_id", "best_topic", "topics", "counts")))
 
@@ -130,11 +132,13 @@ def predict(queries: DataFrame, psi: list[float], alpha: list[float], beta: floa
     batch, queries and the seconds its kernel took on its core.
     """
     totals, prior = np.array(psi, float), np.array(alpha, float)
+    fallback = int(np.argmax(prior / (totals + beta * vocab_size))) if len(totals) else 0  # of words that the model lacks
 
     def solve(f: pd.DataFrame) -> pd.DataFrame:
         docs, at, n = [pd.array([], dtype="Int64")], [np.empty(0, np.int32)], [np.empty(0)]
         for doc, best, topics, counts in zip(f["doc_id"], f["best_topic"], f["topics"], f["counts"], strict=True):
             rows = [(np.asarray(t, np.int64), np.asarray(c, float)) for t, c in zip(topics, counts, strict=True)]
+            best = np.where(np.asarray(best) < 0, fallback, np.asarray(best))
             if method == "sampling" or trials > 1:
                 rng = np.random.Generator(np.random.Philox(np.random.SeedSequence([seed, 1 << 64 if doc is None or doc != doc else int(doc) % (1 << 64)])))
             if method == "sampling":
@@ -144,8 +148,8 @@ def predict(queries: DataFrame, psi: list[float], alpha: list[float], beta: floa
             else:
                 labels = []
                 for t in range(trials):
-                    start = None if t == 0 else np.array([r[0][int(rng.integers(len(r[0])))] for r in rows])
-                    labels.append(ascend(rows, np.asarray(best), totals, prior, beta, vocab_size, pruned=method == "pruned", start=start, **options)[0])
+                    start = None if t == 0 else np.array([r[0][int(rng.integers(len(r[0])))] if len(r[0]) else b for r, b in zip(rows, best, strict=True)])
+                    labels.append(ascend(rows, best, totals, prior, beta, vocab_size, pruned=method == "pruned", start=start, **options)[0])
                 found, times = np.unique(np.concatenate(labels), return_counts=True)
                 share = times / trials
             docs.append(pd.array([None if doc is None or doc != doc else int(doc)] * len(found), dtype="Int64"))

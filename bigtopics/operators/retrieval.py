@@ -9,6 +9,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..sources.files import settle
+
 
 def background(phi: DataFrame, psi: DataFrame, alpha: DataFrame, beta: float, vocab_size: int) -> DataFrame:
     """word_id, g = sum over topics of phi * alpha, smoothed: the part of P(v|d) that no query changes."""
@@ -37,6 +39,53 @@ def topic_features(likelihood: DataFrame, top: int = 30, digits: int = 9) -> Dat
     return likelihood.withColumn("p", F.round("p", digits)).withColumn("rank", F.row_number().over(w).cast("bigint")).filter(F.col("rank") <= top)
 
 
+def topic_features_blocks(theta: DataFrame, phi: DataFrame, psi: DataFrame, alpha: DataFrame, beta: float, vocab_size: int, *, top: int = 30, digits: int = 9, doc_block: int = 1 << 14, word_block: int = 1 << 16) -> DataFrame:
+    """doc_id, word_id, p, rank: as topic_features of word_likelihood, without a row for each query and word.
+
+    A task holds one block of words (their counts by topic) and one of queries (their topics), adds up one vector per
+    query and passes on its best words alone; blocks grow in number, not in size.
+    """
+    den = psi.select("topic", (F.col("n") + F.lit(beta * vocab_size)).alias("den"))
+    share = theta.join(F.broadcast(den), "topic")
+    each = F.array_sort(F.collect_list(F.struct("topic", (F.col("n") / F.col("den")).alias("t"))))
+    docs = share.groupBy("doc_id").agg(each.alias("x"), F.sum("n").alias("len")).crossJoin(F.broadcast(alpha.agg(F.sum("alpha").alias("a"))))
+    docs = settle(docs.select("doc_id", F.col("x.topic").alias("topics"), F.col("x.t").alias("shares"), (F.col("len") + F.col("a")).alias("over")), "queries")
+    model = settle(phi.groupBy("word_id").agg(F.collect_list("topic").alias("topics"), F.collect_list("n").alias("counts")).join(background(phi, psi, alpha, beta, vocab_size), "word_id"), "model")
+    n_docs, n_words = (max(1, -(-df.count() // size)) for df, size in ((docs, doc_block), (model, word_block)))
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    q = docs.withColumn("db", F.pmod(F.xxhash64("doc_id"), F.lit(n_docs)).cast("int")).withColumn("wb", every(n_words))
+    m = model.withColumn("wb", F.pmod(F.xxhash64("word_id"), F.lit(n_words)).cast("int")).withColumn("db", every(n_docs))
+
+    def best(key: tuple, a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        out: dict = {"doc_id": [], "word_id": [], "p": []}
+        if len(a) and len(b):
+            b = b.sort_values("word_id")
+            words, g = b["word_id"].to_numpy(), b["g"].to_numpy()
+            at = np.repeat(np.arange(len(b)), [len(x) for x in b["topics"]])
+            topic, n = np.concatenate(b["topics"].to_list()), np.concatenate(b["counts"].to_list()).astype(float)
+            order = np.argsort(topic, kind="stable")
+            kinds, starts = np.unique(topic[order], return_index=True)
+            rows = dict(zip(kinds.tolist(), zip(np.split(at[order], starts[1:]), np.split(n[order], starts[1:]), strict=True), strict=True))
+            for doc, topics, shares, over in zip(a["doc_id"], a["topics"], a["shares"], a["over"], strict=True):
+                own = np.zeros(len(words))
+                for t, x in zip(topics, shares, strict=True):
+                    if t in rows:
+                        own[rows[t][0]] += rows[t][1] * x
+                live = np.flatnonzero(own)
+                p = np.round((own[live] + float(np.sum(shares)) * beta + g[live]) / over, digits)
+                if len(p) > top:
+                    live, p = live[p >= (cut := np.partition(p, -top)[-top])], p[p >= cut]
+                first = np.argsort(-p, kind="stable")[:top]  # words ascend, so ties go to the smaller id
+                out["doc_id"] += [doc] * len(first)
+                out["word_id"] += words[live[first]].tolist()
+                out["p"] += p[first].tolist()
+        return pd.DataFrame(out)
+
+    kind = phi.schema["word_id"].dataType.simpleString()
+    got = q.groupBy("db", "wb").cogroup(m.groupBy("db", "wb")).applyInPandas(best, f"doc_id bigint, word_id {kind}, p double")
+    return topic_features(got, top, digits)
+
+
 def word_vectors(tokens: DataFrame, weighting: str = "tfidf") -> DataFrame:
     """doc_id, word_id, w: unit vectors of tf or tf * ln(D / df)."""
     tf = tokens.groupBy("doc_id", "word_id").agg(F.count(F.lit(1)).alias("tf"))

@@ -76,13 +76,12 @@ def exp_predictors(spark, d, topics=16, iterations=3):
 
 @query()
 def exp_predictor_rate(spark, d, ks=(16, 256, 4096)):
-    """Queries a second of one core by each predictor for growing numbers of topics: kernel time alone, over all held-out baskets."""
+    """Queries a second of one core by each predictor for growing numbers of topics: kernel time alone, over all held-out baskets, by models trained on the others."""
     tokens = settle(corpora.baskets(_t(spark, d, "lineitem")), "tokens")
-    test = settle(tokens.filter(uniform("doc_id") < 0.1), "test")
+    test, seen = settle(tokens.filter(uniform("doc_id") < 0.1), "test"), settle(tokens.filter(uniform("doc_id") >= 0.1), "seen")
     v, rows = tokens.select("word_id").distinct().count(), []
     for k in ks:
-        tz = settle(counts.init_topics(tokens, k), "labels")
-        phi, psi = (settle(x, "model") for x in (counts.count_word_topic(tz), counts.count_topic(tz)))
+        phi, psi = (settle(x, "model") for x in trained(spark, seen, v, k, 3).model())
         alpha, totals = counts.flat_alpha(psi, 0.1), [0] * k
         for r in psi.collect():
             totals[r.topic] = r.n
@@ -191,6 +190,6 @@ def exp_retrieval_by_topics(spark, d, ks=(8, 32, 128), iterations=3, top=10):
             totals[r.topic] = r.n
         packed = predict.packed_queries(asked, phi, predict.best_prior_topic(phi, psi, alpha, 0.01, v))
         theta = settle(predict.predict(packed, totals, [0.1] * k, 0.01, v), "theta")
-        feats = retrieval.topic_features(retrieval.word_likelihood(theta, phi, psi, alpha, 0.01, v), 30)
+        feats = retrieval.topic_features_blocks(theta, phi, psi, alpha, 0.01, v)
         run(k, retrieval.expand_query(q, feats, "mix", 0.2))
     return spark.createDataFrame(rows, "topics bigint, queries bigint, map double")

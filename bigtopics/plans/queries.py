@@ -445,10 +445,28 @@ def r_best(spark, d):
     return predict.best_prior_topic(phi, psi, alpha, BETA, v).withColumn("best_score", F.round("best_score", 12))
 
 
+_TRAINED: dict[tuple[str, str], tuple[DataFrame, DataFrame, int]] = {}
+
+
+def _trained_model(spark, d):
+    """phi, psi and vocabulary size after three iterations of the grid on nine tenths of the baskets; written once for a session and folder."""
+    key = (spark.sparkContext.applicationId, d)
+    if key not in _TRAINED:
+        tokens = _tokens(spark, d)
+        v = _vocab_size(tokens)
+        seen = settle(tokens.filter(uniform("doc_id") >= 0.1), "seen")
+        model = training.GridTrainer(spark, training.Settings(topics=TOPICS, vocab_size=v, shards=8)).start(seen).train(3).model()
+        _TRAINED[key] = (*(settle(x, "trained") for x in model), v)
+    return _TRAINED[key]
+
+
 def _predicted(spark, d, method, **options):
-    tz, _, phi, psi, alpha, v = _model(spark, d)
-    q = predict.packed_queries(_tokens(spark, d), phi, predict.best_prior_topic(phi, psi, alpha, BETA, v))
-    totals = [r.n for r in psi.orderBy("topic").collect()]
+    """Topics of all baskets by a model trained on nine tenths of them; the others are new to it."""
+    phi, psi, v = _trained_model(spark, d)
+    q = predict.packed_queries(_tokens(spark, d), phi, predict.best_prior_topic(phi, psi, counts.flat_alpha(psi, ALPHA), BETA, v))
+    totals = [0] * TOPICS
+    for r in psi.collect():  # K rows
+        totals[r.topic] = r.n
     return predict.predict(q, totals, [ALPHA] * TOPICS, BETA, v, method=method, **options)
 
 

@@ -24,6 +24,11 @@ def _likelihood(spark, d, ids="doc_id % 100 = 0"):
     return retrieval.word_likelihood(theta.filter(ids), phi, psi, alpha, BETA, v)
 
 
+def _features(spark, d, ids="doc_id % 100 = 0"):
+    _, theta, phi, psi, alpha, v = _model(spark, d)
+    return retrieval.topic_features_blocks(theta.filter(ids), phi, psi, alpha, BETA, v)
+
+
 @query(STATE + _LIKE + " SELECT doc_id, word_id, round(p, 9) AS p FROM wl")
 def word_likelihood(spark, d):
     return _likelihood(spark, d).withColumn("p", F.round("p", 9))
@@ -31,7 +36,7 @@ def word_likelihood(spark, d):
 
 @query(STATE + _LIKE + " SELECT doc_id, word_id, round(p, 9) AS p, row_number() OVER (PARTITION BY doc_id ORDER BY round(p, 9) DESC, word_id) AS rank FROM wl QUALIFY rank <= 30")
 def topic_features_top30(spark, d):
-    return retrieval.topic_features(_likelihood(spark, d), 30)
+    return _features(spark, d)
 
 
 @query()
@@ -43,7 +48,7 @@ def word_likelihood_all(spark, d):
 @query()
 def topic_features_all(spark, d):
     """topic_features_top30 of every basket."""
-    return retrieval.topic_features(_likelihood(spark, d, "true"), 30)
+    return _features(spark, d, "true")
 
 
 VEC = ", f AS (SELECT doc_id, word AS word_id, count(*) AS tf FROM t GROUP BY ALL), x AS (SELECT doc_id, word_id, f.tf * ln((SELECT count(DISTINCT doc_id) FROM t) / df) AS x FROM f JOIN wc ON word = word_id), vec AS (SELECT doc_id, word_id, x / sqrt(sum(x * x) OVER (PARTITION BY doc_id)) AS w FROM x QUALIFY sum(x * x) OVER (PARTITION BY doc_id) > 0)"

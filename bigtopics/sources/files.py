@@ -4,15 +4,48 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
 _OWN: list[str] = []
 
 
+#: Folders of open ``temporary`` blocks, innermost last.
+_OPEN: list[str] = []
+
+
+@contextmanager
+def temporary(spark: SparkSession) -> Iterator[Callable[[DataFrame, str], DataFrame]]:
+    """What is settled inside the block goes into one folder that is deleted at its end.
+
+    Yields a function that settles a result outside it.  Results must be settled
+    by that function or be read before the block ends.
+    """
+    outside, folder = list(_OPEN), scratch(spark, "temporary")
+
+    def keep(df: DataFrame, name: str) -> DataFrame:
+        inside, _OPEN[:] = list(_OPEN), outside
+        try:
+            path = scratch(spark, name)
+        finally:
+            _OPEN[:] = inside
+        df.write.parquet(path)
+        return spark.read.schema(df.schema).parquet(path)
+
+    _OPEN.append(folder)
+    try:
+        yield keep
+    finally:
+        _OPEN[:] = outside
+        where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
+        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
 def scratch(spark: SparkSession, name: str) -> str:
     """A new path in the folder all executors share (spark.checkpoint.dir); a local one where that is unset, as in tests."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
+    root = _OPEN[-1] if _OPEN else spark.conf.get("spark.checkpoint.dir", None)
     if not root:
         if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
             raise ValueError("set spark.checkpoint.dir to a folder that all executors share")

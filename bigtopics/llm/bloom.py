@@ -1,4 +1,4 @@
-"""A Bloom filter of a fixed number of bits over 64-bit keys, built by an aggregation."""
+"""A Bloom filter over 64-bit keys, built by an aggregation; its bits follow the number of keys up to a stated bound."""
 
 from __future__ import annotations
 
@@ -35,8 +35,17 @@ def places(keys: np.ndarray, bits: int) -> Iterator[np.ndarray]:
         yield ((mixed ^ (mixed >> np.uint64(29))) * np.uint64(m) >> shift).astype(np.int64)
 
 
-def build(keys: DataFrame, col: str, bits: int = 1 << 24) -> Bloom:
-    """Each task sets its own words; equal words are combined by bit_or, so at most bits / 64 rows reach the driver."""
+MOST_BITS = 1 << 27  # 16 MB; beyond some 10^7 keys the filter lets more and more through
+
+
+def bits_for(keys: int) -> int:
+    """A power of two, 12 bits a key or more, from 2^16 to MOST_BITS."""
+    return min(MOST_BITS, max(1 << 16, 1 << (12 * keys).bit_length()))
+
+
+def build(keys: DataFrame, col: str, bits: int | None = None) -> Bloom:
+    """keys: a written table, since it is counted first unless ``bits`` is given.  Each task sets its own words; equal words are combined by bit_or, so at most bits / 64 rows reach the driver."""
+    bits = bits or bits_for(keys.count())
 
     def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = np.zeros(bits // 64, np.uint64)

@@ -9,9 +9,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..sources.files import scratch, settle
+from ..sources.files import scratch, settle, temporary
 
-__all__ = ["SPACE", "WORD", "fresh_path", "give_back", "key_of", "settle", "table", "text_of", "words_of"]
+__all__ = ["SPACE", "WORD", "fresh_path", "give_back", "key_of", "settle", "table", "temporary", "text_of", "words_of"]
 
 #: A word is a longest run of anything but ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"

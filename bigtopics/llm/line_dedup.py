@@ -17,7 +17,7 @@ Stages: (1) hashes of chunks (and pairs) of all texts, counted over the corpus;
 (2) the text of those whose hash occurs twice or more, grouped by hash and bytes,
 which is the byte comparison; (3) places to remove, joined to the documents.
 Stage 2 is kept small by a Bloom filter of the repeated hashes: a fixed number of
-bits, built by an aggregation, so what is broadcast has a set bound; beyond it
+bits a key up to a set bound, built by an aggregation, so what is broadcast is bounded; beyond it
 the filter lets more through and the join decides as before.
 
 Defined cases: a null text stays null and has no chunks; null ids come last when
@@ -36,7 +36,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .bloom import Bloom, build
-from .common import give_back, key_of, settle
+from .common import give_back, key_of, settle, temporary
 
 
 def chunk_ends(lines: list[bytes], *, window: int = 2, modulus: int = 4, most: int = 64) -> list[int]:
@@ -181,7 +181,7 @@ def _merged(spans: Column) -> Column:
     return F.zip_with(first, last, lambda a, b: F.struct(a.alias("first"), (b + 1).alias("end")))
 
 
-def removals(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", bloom_bits: int = 1 << 24, runs: bool = False, **how) -> DataFrame:
+def removals(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", bloom_bits: int | None = None, runs: bool = False, **how) -> DataFrame:
     """A row per document that loses lines: its key and __bt_spans, an array of struct(first, end) of line numbers."""
     rows = _rows(docs, id_col, text_col)
     many = settle(chunk_hashes(rows, runs, **how).groupBy("hash").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("hash"), "chunk-hashes")
@@ -215,7 +215,8 @@ def _apply(docs: DataFrame, spans: DataFrame, id_col: str, text_col: str) -> Dat
 
 def dedupe_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", length_col: str | None = "n_chars", **options) -> DataFrame:
     """docs with the repeated chunks removed; ``length_col``, if docs has it, is set to the new number of code points."""
-    spans = settle(removals(docs, id_col=id_col, text_col=text_col, **options), "removals")
+    with temporary(docs.sparkSession) as keep:
+        spans = keep(removals(docs, id_col=id_col, text_col=text_col, **options), "removals")
     out = _apply(docs, spans, id_col, text_col)
     names = [F.col("__bt_clean").alias(c) if c == text_col else (F.when(F.col("__bt_spans").isNull(), F.col(c)).otherwise(F.length("__bt_clean")).cast(docs.schema[c].dataType).alias(c) if c == length_col else F.col(c)) for c in docs.columns]
     return out.select(*names)
@@ -223,7 +224,8 @@ def dedupe_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
 
 def line_report(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """One row per input row: id, text (cleaned), n_removed_chunks (with ``runs``: runs), n_removed_lines, n_chars (of the cleaned text)."""
-    spans = settle(removals(docs, id_col=id_col, text_col=text_col, **options), "removals")
+    with temporary(docs.sparkSession) as keep:
+        spans = keep(removals(docs, id_col=id_col, text_col=text_col, **options), "removals")
     out = _apply(docs.select(id_col, text_col), spans, id_col, text_col)
     lines = F.aggregate("__bt_spans", F.lit(0), lambda s, x: s + x["end"] - x["first"])
     return out.select(F.col(id_col), F.col("__bt_clean").alias("text"), F.coalesce(F.size("__bt_spans"), F.lit(0)).cast("bigint").alias("n_removed_chunks"), F.coalesce(lines, F.lit(0)).cast("bigint").alias("n_removed_lines"), F.length("__bt_clean").cast("bigint").alias("n_chars"))

@@ -49,7 +49,7 @@ from pyspark.sql import functions as F
 
 from ..operators.graph import components
 from .bloom import Bloom, build
-from .common import give_back, key_of, settle
+from .common import give_back, key_of, settle, temporary
 
 NUM, DEN = 4, 5
 SMALL = 32  # bands up to this size also index one-deletion neighbourhoods
@@ -233,16 +233,17 @@ def _unpack(raw: bytes) -> tuple[np.ndarray, ...]:
     return wide.view("<u8").ravel(), own[place >> 1], sizes[place >> 1].astype(np.int64), (place & 1) == 1
 
 
-def signature_blocks(texts: DataFrame, buckets: int, k: int, seed: int, only: Bloom | None = None) -> DataFrame:
-    """bucket, block; in buckets below 0 the classes of sets whose probing is not complete."""
+def signature_blocks(sets: DataFrame, buckets: int, seed: int, only: Bloom | None = None) -> DataFrame:
+    """sets: cls, items.  bucket, block; in buckets below 0 the classes of sets whose probing is not complete."""
 
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[int] = set()
-        for part in _slices(batches, "text"):
+        for part in _slices(batches, "items"):
             sigs, owner, size, probes, short = [], [], [], [], []
-            for s in shingle_sets(part.column("text"), k):
-                if not len(s) or (c := class_of(s)) in seen:
+            for c, raw in zip(part.column("cls").to_pylist(), part.column("items"), strict=True):
+                if c in seen:
                     continue
+                s = np.frombuffer(raw.as_buffer(), "<u8")
                 if len(seen) > 500_000:
                     seen.clear()  # it only saves repeats
                 seen.add(c)
@@ -268,7 +269,7 @@ def signature_blocks(texts: DataFrame, buckets: int, k: int, seed: int, only: Bl
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.binary())], names=["bucket", "block"])
 
-    return texts.mapInArrow(make, "bucket int, block binary")
+    return sets.mapInArrow(make, "bucket int, block binary")
 
 
 _FOUND = pa.schema([("kind", pa.int32()), ("a", pa.int64()), ("b", pa.int64()), ("size", pa.int64())])
@@ -343,22 +344,16 @@ def candidates(blocks: DataFrame) -> DataFrame:
 # --- verification -----------------------------------------------------------------------------------
 
 
-def class_sets(texts: DataFrame, wanted: Bloom, k: int) -> DataFrame:
+def class_sets(sets: DataFrame, wanted: Bloom) -> DataFrame:
     """cls, items (sorted hashes as bytes) of each class the filter lets through."""
 
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: set[int] = set()
-        for part in _slices(batches, "text"):
-            sets = [s for s in shingle_sets(part.column("text"), k) if len(s)]
-            cls = np.array([class_of(s) for s in sets], np.int64)
-            ok = np.flatnonzero(wanted.may_hold(cls)) if len(cls) else []
-            rows = [(int(cls[i]), sets[i].astype("<u8").tobytes()) for i in ok if int(cls[i]) not in seen and not seen.add(int(cls[i]))]
-            if len(seen) > 500_000:
-                seen.clear()
-            if rows:
-                yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.binary())], names=["cls", "items"])
+        for batch in batches:
+            ok = wanted.may_hold(np.asarray(batch.column("cls")).astype(np.int64))
+            if ok.any():
+                yield batch.filter(pa.array(ok))
 
-    return texts.mapInArrow(make, "cls long, items binary").groupBy("cls").agg(F.first("items").alias("items"))
+    return sets.mapInArrow(make, "cls long, items binary").groupBy("cls").agg(F.first("items").alias("items"))
 
 
 def linked(x: np.ndarray, y: np.ndarray) -> bool:
@@ -535,29 +530,38 @@ def _merged(labels: DataFrame, links: DataFrame) -> DataFrame:
 
 
 def document_classes(docs: DataFrame, id_col: str, text_col: str, k: int) -> DataFrame:
-    """A row per document: key columns, id, n_shingles, cls (null: empty set), sketch."""
-    schema = pa.schema([("__bt_k1", pa.int64()), ("__bt_k2", pa.int64()), ("id", pa.int64()), ("n_shingles", pa.int64()), ("cls", pa.int64()), ("sketch", pa.binary())])
+    """A row per document: key columns, id, n_shingles, cls (null: empty set), sketch, items (the sorted set as bytes)."""
+    schema = pa.schema([("__bt_k1", pa.int64()), ("__bt_k2", pa.int64()), ("id", pa.int64()), ("n_shingles", pa.int64()), ("cls", pa.int64()), ("sketch", pa.binary()), ("items", pa.binary())])
 
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in _slices(batches, "text"):
             sets = shingle_sets(part.column("text"), k)
-            yield pa.RecordBatch.from_arrays([*(part.column(c) for c in ("__bt_k1", "__bt_k2", "id")), pa.array([len(s) for s in sets], pa.int64()), pa.array([class_of(s) if len(s) else None for s in sets], pa.int64()), pa.array([sketch_of(s) if len(s) else None for s in sets], pa.binary())], schema=schema)
+            yield pa.RecordBatch.from_arrays([*(part.column(c) for c in ("__bt_k1", "__bt_k2", "id")), pa.array([len(s) for s in sets], pa.int64()), pa.array([class_of(s) if len(s) else None for s in sets], pa.int64()), pa.array([sketch_of(s) if len(s) else None for s in sets], pa.binary()), pa.array([s.astype("<u8").tobytes() if len(s) else None for s in sets], pa.binary())], schema=schema)
 
     rows = docs.select(*key_of(id_col, text_col), F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    return rows.mapInArrow(make, "__bt_k1 long, __bt_k2 long, id long, n_shingles long, cls long, sketch binary")
+    return rows.mapInArrow(make, "__bt_k1 long, __bt_k2 long, id long, n_shingles long, cls long, sketch binary, items binary")
+
+
+def join_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", k: int = 5, buckets: int | None = None, bloom_bits: int | None = None) -> DataFrame:
+    """A row per document: key columns, id, n_shingles, cls, component (class label), component_id (smallest id of the component; its own for an empty set).
+
+    The tables written on the way are deleted at its end.
+    """
+    with temporary(docs.sparkSession) as keep:
+        return keep(_components_of(docs, id_col, text_col, k, buckets, bloom_bits), "joined")
 
 
-def join_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", k: int = 5, buckets: int | None = None, bloom_bits: int = 1 << 24) -> DataFrame:
-    """A row per document: key columns, id, n_shingles, cls, component (class label), component_id (smallest id of the component; its own for an empty set)."""
+def _components_of(docs: DataFrame, id_col: str, text_col: str, k: int, buckets: int | None, bloom_bits: int | None) -> DataFrame:
     spark = docs.sparkSession
     buckets = buckets or max(8, int(spark.conf.get("spark.sql.shuffle.partitions")))
     known = settle(document_classes(docs, id_col, text_col, k), "classes")
     sketches = settle(known.filter("cls is not null").groupBy("cls").agg(F.first("sketch").alias("sketch")), "sketches")
-    texts = docs.select(F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    # texts are read once: what follows needs the written sets alone
+    stored = known.filter("cls is not null").select("cls", "items")
 
     found, only, seed = None, None, 0
     while True:  # again only for sets whose probing was not complete
-        new = settle(candidates(signature_blocks(texts, buckets, k, seed, only)), "candidates")
+        new = settle(candidates(signature_blocks(stored, buckets, seed, only)), "candidates")
         found = new if found is None else found.union(new)
         again = new.filter("kind = 2").select(F.col("a").alias("cls"))
         if again.isEmpty():
@@ -567,7 +571,7 @@ def join_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     pairs = settle(found.filter("kind = 0").select("a", "b").distinct(), "pairs")
     groups = settle(found.filter("kind = 1").select(F.col("a").alias("grp"), F.col("b").alias("cls"), "size").distinct(), "groups")
     wanted = pairs.select(F.col("a").alias("cls")).union(pairs.select("b")).union(groups.select("cls"))
-    sets = settle(class_sets(texts, build(wanted, "cls", bloom_bits), k), "sets")
+    sets = settle(class_sets(stored, build(wanted, "cls", bloom_bits)), "sets")
     links = settle(verify(pairs, sets), "links")
     labels = components(links)
     members = settle(_labelled(groups, labels).join(sketches, "cls"), "members")

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import settle, text_of
+from .common import settle, temporary, text_of
 from .tokens import encoded
 
 LONG = 2  # tails of these classes are set apart first
@@ -132,9 +132,15 @@ def pack(docs: DataFrame, tokenizer: str, *, id_col: str = "doc_id", text_col: s
 
     ``grain``: gaps of fewer ids stay empty.  The driver gets one count per
     (class, bucket), at most 2 * sqrt(capacity) * buckets rows, and 2 * RANGES sums.
+    The tables written on the way are deleted at its end.
     """
     if not 1 <= grain <= capacity:
         raise ValueError("grain must be from 1 to capacity")
+    with temporary(docs.sparkSession) as keep:
+        return keep(_packed(docs, tokenizer, id_col, text_col, capacity, grain, buckets), "packed")
+
+
+def _packed(docs: DataFrame, tokenizer: str, id_col: str, text_col: str, capacity: int, grain: int, buckets: int) -> DataFrame:
     spark = docs.sparkSession
     cut = settle(pieces(docs, tokenizer, id_col=id_col, text_col=text_col, capacity=capacity).withColumn("row", F.monotonically_increasing_id()), "pieces")
     kind = F.when(F.col("length") == capacity, 0).otherwise(F.floor(F.lit(capacity) / F.col("length"))).cast("int")

@@ -22,7 +22,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import settle, text_of, words_of
+from .common import settle, temporary, text_of, words_of
 
 # Common words of the languages that have a list; others use the first.
 COMMON = {
@@ -143,21 +143,26 @@ def verdicts(measured: DataFrame, references: DataFrame, *, min_words: int = 50,
     return df.select("*", failed.alias("__bt_base_failed"), (~failed & passes).alias("__bt_kept"))
 
 
-def fitted_verdicts(measured: DataFrame, **limits) -> DataFrame:
-    """verdicts of measured (a written table) by references fitted twice."""
+def fitted(measured: DataFrame, **limits) -> DataFrame:
+    """References of measured (a written table), fitted twice."""
     first = verdicts(measured, settle(fit_references(measured), "references"), **limits)
-    return verdicts(measured, settle(fit_references(first.filter("__bt_kept")), "references"), **limits)
+    return settle(fit_references(first.filter("__bt_kept")), "references")
 
 
 def quality_report(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", **limits) -> DataFrame:
     """One row per input row with all measures and the verdict ``kept``."""
-    out = fitted_verdicts(settle(measure(docs, text_col=text_col, lang_col=lang_col, keep=[F.col(id_col).alias("__bt_id")]), "quality"), **limits)
+    measured = settle(measure(docs, text_col=text_col, lang_col=lang_col, keep=[F.col(id_col).alias("__bt_id")]), "quality")
+    out = verdicts(measured, fitted(measured, **limits), **limits)
     shown = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
     return out.select(F.col("__bt_id").alias(id_col), *(F.col(f"__bt_{c}").alias(c) for c in shown), *(F.round(f"__bt_{c}", 9).alias(c) for c in ("js_chars", "js_common")))
 
 
 def keep_good(docs: DataFrame, *, text_col: str = "text", lang_col: str = "lang", **limits) -> DataFrame:
-    """The rows that pass, with their columns as they were.  Texts are measured once, written beside their measures, and never shuffled."""
-    own = {c: f"__bt_own_{k}" for k, c in enumerate(docs.columns)}
-    measured = settle(measure(docs, text_col=text_col, lang_col=lang_col, keep=[F.col(c).alias(n) for c, n in own.items()]), "quality")
-    return fitted_verdicts(measured, **limits).filter("__bt_kept").select(*(F.col(n).alias(c) for c, n in own.items()))
+    """The rows that pass, with their columns as they were.  Texts are read twice (references, verdicts), and neither written nor shuffled."""
+    own, how = {c: f"__bt_own_{k}" for k, c in enumerate(docs.columns)}, {"text_col": text_col, "lang_col": lang_col}
+    with temporary(docs.sparkSession) as keep:
+        references = keep(fitted(settle(measure(docs, **how, keep=[]), "quality"), **limits), "references")
+    judged = verdicts(measure(docs, **how, keep=[F.col(c).alias(n) for c, n in own.items()]), references, **limits)
+    # the filter stays above the measures: pushed below, it would compute them once more for each use of a name
+    fenced = judged.withColumn("__bt_fence", F.monotonically_increasing_id()).filter("__bt_kept and __bt_fence >= 0")
+    return fenced.select(*(F.col(n).alias(c) for c, n in own.items()))

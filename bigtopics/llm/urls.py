@@ -28,7 +28,7 @@ RULES = (("block", "net/"), ("allow", "example.net/en/"), ("block", "example.com
 UNWANTED = "casino casinos poker jackpot slots roulette blackjack betting gambling bookmaker wager bingo pills viagra cialis pharma steroids cheap replica counterfeit fakeid spam farm ads track banner popup clickbait adult porn porno sex sexy xxx nude naked erotic hentai camgirls milf escort escorts hookup dating loan loans payday crypto forex win winner prize lottery giveaway sweepstakes torrent warez crack cracked keygen serialkey malware phishing keylogger botnet ransom spy hack hacks bonus miracle weightloss bet bets free cash vip".split()
 WANTED = "news library museum school university college science health garden travel music film sport weather history market city council gov parish forum recipes books garage bakery journal archive review studio research family photo design nature village kitchen hospital clinic therapist bank insurance energy water rail airport hotel restaurant cafe theatre cinema gallery orchestra choir football cricket rugby tennis golf cycling hiking blog wiki docs developer software hardware physics chemistry biology maths economics law justice police fire charity trust foundation union shop homes school maps jobs download help support learn".split()
 # Wanted words that hold an unwanted one by chance.
-INNOCENT = "sussex essex middlesex wessex sextant sexton unisex cashmere cashew cashier better alphabet bethany betony elizabeth diabetes tibet analysis therapist specialist socialist pharmacy pharmacology window winter winchester wine twins darwin freedom freezer freeway carefree update updating validating loaned farmers farmhouse adsorption uploads downloads roads heads spying spyglass hackney shack whack scunthorpe cocktail classic assassin titanic bonusround alphabetical besets sherbet gibbet barbeque cryptography encrypt tracks soundtrack racetrack bannerman embankment banner".split()
+INNOCENT = "sussex essex middlesex wessex sextant sexton unisex cashmere cashew cashier better alphabet bethany betony elizabeth diabetes tibet analysis therapist specialist socialist pharmacy pharmacology window winter winchester wine twins darwin freedom freezer freeway carefree update updating validating loaned farmers farmhouse adsorption uploads downloads roads heads spying spyglass hackney shack whack backpack jackdaw slackline packaging feedback blackbird racket scunthorpe cocktail classic assassin titanic bonusround alphabetical besets sherbet gibbet barbeque cryptography encrypt tracks soundtrack racetrack bannerman embankment banner".split()
 # Endings of public bodies' hosts.
 PUBLIC = "gov.uk ac.uk edu gov org.uk museum nhs.uk edu.au gouv.fr gob.es bund.de police.uk".split()
 _ALPHABET = "etaoinshrdlucmfwypvbgk"
